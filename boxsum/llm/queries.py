@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from boxsum.llm import bpe, embedding_dedup, language_id, quality, secret_scan, simhash
+from boxsum.llm import bpe, embedding_dedup, html_extract, language_id, media, packing, quality, secret_scan, simhash, web_archive
 from boxsum.llm.shared import table
 
 #: Where the vocabularies are; every worker has them at the same place.
@@ -23,6 +23,15 @@ def op2_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embedding_dedup.near_duplicates(table(spark, sf_dir, "embeddings"))
 
 
+def op3_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.main_text(table(spark, sf_dir, "pages"))
+
+
+def op4_web_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    packages = web_archive.write_packages(table(spark, sf_dir, "pages"))
+    return web_archive.read_packages(packages).drop("url")
+
+
 def held_out(doc_id: str = "doc_id"):
     """Whether a row is one of the fourth that nothing is learned from."""
     return F.pmod(F.crc32(F.coalesce(F.col(doc_id).cast("string"), F.lit("")).cast("binary")), F.lit(4)) == 2
@@ -34,11 +43,19 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(docs, model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
 
 
+def op6_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media.features(media.store(table(spark, sf_dir, "documents")))
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return quality.score(docs, quality.train(docs, table(spark, sf_dir, "labels")))
 
 
+def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"), BPE_RANKS, public_tokenizers.PATTERN)
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -51,8 +68,12 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bpe": op1_bpe,
     "op2_embedding_dedup": op2_embedding_dedup,
+    "op3_html": op3_html,
+    "op4_web_archive": op4_web_archive,
     "op5_language_id": op5_language_id,
+    "op6_media": op6_media,
     "op7_quality": op7_quality,
+    "op8_packing": op8_packing,
     "op9_simhash": op9_simhash,
     "op10_secrets": op10_secrets,
 }
@@ -63,8 +84,8 @@ ORACLE_SQL: dict[str, str] = {
 WITH RECURSIVE v AS (
   SELECT vec_id, label, embedding::DOUBLE[] AS e FROM embeddings
   WHERE label IS NOT NULL AND embedding IS NOT NULL AND len(embedding) > 0
-    AND len(list_filter(embedding, x -> x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, x -> x <> 0)) > 0
-), n AS (SELECT *, sqrt(list_sum(list_transform(e, x -> x * x))) AS norm FROM v),
+    AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0
+), n AS (SELECT *, sqrt(list_sum(list_transform(e, lambda x: x * x))) AS norm FROM v),
 links AS (
   SELECT a.vec_id AS a, b.vec_id AS b FROM n a JOIN n b ON a.label = b.label AND len(a.e) = len(b.e) AND a.vec_id <> b.vec_id
   WHERE list_dot_product(a.e, b.e) / (a.norm * b.norm) >= 0.93
@@ -75,4 +96,13 @@ links AS (
 )
 SELECT e.vec_id, (SELECT count(*) FROM links WHERE links.a = e.vec_id)::BIGINT AS n_links, r.component_id, e.vec_id = r.component_id AS kept
 FROM embeddings e JOIN (SELECT node, min(other) AS component_id FROM reach GROUP BY node) r ON r.node = e.vec_id""",
+    # SHA-1 in base32: each five hexadecimal digits are four letters.
+    "op4_web_archive": """
+WITH p AS (SELECT page_id, coalesce(html, '') AS body FROM pages), d AS (SELECT page_id, strlen(body)::BIGINT AS payload_bytes, sha1(body) AS h FROM p),
+r AS (SELECT *, max(page_id) OVER (PARTITION BY h) AS owner FROM d)
+SELECT page_id, payload_bytes,
+  array_to_string(list_transform(range(8), lambda i: array_to_string(list_transform(range(4), lambda j: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+    1 + ((CAST('0x' || substr(h, 1 + 5 * i::INT, 5) AS BIGINT) >> (15 - 5 * j::INT)) & 31)::INT, 1)), '')), '') AS payload_digest,
+  CASE WHEN page_id = owner THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> owner THEN owner END AS refers_to
+FROM r""",
 }
