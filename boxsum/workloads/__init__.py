@@ -1,4 +1,4 @@
-"""Every method, baseline, measure and workload as a query, with its SQL."""
+"""Every method, baseline, measure, workload and operator as a query, with its SQL."""
 
-QUERIES: dict = {}
-ORACLE_SQL: dict = {}
+from boxsum.workloads import experiments, methods, relational, streams  # noqa: F401  they register themselves
+from boxsum.workloads.cases import ORACLE_SQL, QUERIES  # noqa: F401
