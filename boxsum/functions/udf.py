@@ -8,17 +8,18 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from boxsum.plans.box import pieces
 
 
-@F.pandas_udf("array<bigint>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def packed_cumsum(values: pd.Series) -> pd.Series:
     """Running sums of each array."""
     return values.map(np.cumsum)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def compensated_sum(values: pd.Series) -> float:
     """A group's sum with the rounding errors carried along."""
     total = rest = 0.0

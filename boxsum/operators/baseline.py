@@ -94,7 +94,7 @@ def range_average(cells: DataFrame, axis: str, lo: int, hi: int, value: str = "s
     """(s, avg) of one range of a line without gaps, as the difference of two cumulative sums."""
     from boxsum.operators.build import running
 
-    sums = running(cells.select(F.col(axis).alias("m"), F.col(value).alias("sx")), [], {"sx": "sum"})
-    ends = sums.where(F.col("m").isin([i for i in (lo - 1, hi - 1) if i >= 0]))
-    s = F.sum(F.when(F.col("m") == hi - 1, F.col("sx")).otherwise(-F.col("sx")))
+    sums = running(cells.select(F.col(axis).alias("__m"), F.col(value).alias("sx")), [], {"sx": "sum"})
+    ends = sums.where(F.col("__m").isin([i for i in (lo - 1, hi - 1) if i >= 0]))
+    s = F.sum(F.when(F.col("__m") == hi - 1, F.col("sx")).otherwise(-F.col("sx")))
     return ends.agg(s.alias("s"), (s.cast("double") / (hi - lo)).alias("avg"))

@@ -17,25 +17,25 @@ SUM = {"sum": (F.sum, lambda a, b: a + b), "min": (F.min, F.least), "max": (F.ma
 
 def tile_sums(rows: DataFrame, keys: list[str], axis: str, step: int, measures: Mapping[str, str]) -> DataFrame:
     """(keys, m, measures): aggregates of each tile of `step` cells; partial aggregation comes before the exchange."""
-    return rows.groupBy(*keys, F.floor(F.col(axis) / step).cast("int").alias("m")).agg(*(SUM[how][0](c).alias(c) for c, how in measures.items()))
+    return rows.groupBy(*keys, F.floor(F.col(axis) / step).cast("int").alias("__m")).agg(*(SUM[how][0](c).alias(c) for c, how in measures.items()))
 
 
 def running(sums: DataFrame, keys: list[str], measures: Mapping[str, str]) -> DataFrame:
     """The measures accumulated over m within the keys, and the next m that has a row (`next`)."""
-    by = Window.partitionBy(*keys).orderBy("m") if keys else Window.partitionBy("block").orderBy("m")
+    by = Window.partitionBy(*keys).orderBy("__m") if keys else Window.partitionBy("__block").orderBy("__m")
     to_here = by.rowsBetween(Window.unboundedPreceding, Window.currentRow)
     here = [SUM[how][0](c).over(to_here).alias(c) for c, how in measures.items()]
     if keys:
-        return sums.select(*keys, "m", *here, F.lead("m").over(by).alias("next"))
+        return sums.select(*keys, "__m", *here, F.lead("__m").over(by).alias("__next"))
     # without keys: blocks add up on their own, then the totals of the blocks before are put on top
-    blocked = sums.withColumn("block", F.floor(F.col("m") / BLOCK).cast("int"))
-    before = Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1)  # one row a block
-    after = Window.orderBy(F.desc("block")).rowsBetween(Window.unboundedPreceding, -1)
-    totals = blocked.groupBy("block").agg(F.min("m").alias("first"), *(SUM[how][0](c).alias(c) for c, how in measures.items()))
-    offsets = totals.select("block", F.min("first").over(after).alias("next_block"), *(SUM[how][0](c).over(before).alias(f"{c}_before") for c, how in measures.items()))
-    inside = blocked.select("block", "m", *here, F.lead("m").over(by).alias("next"))
+    blocked = sums.withColumn("__block", F.floor(F.col("__m") / BLOCK).cast("int"))
+    before = Window.orderBy("__block").rowsBetween(Window.unboundedPreceding, -1)  # one row a block
+    after = Window.orderBy(F.desc("__block")).rowsBetween(Window.unboundedPreceding, -1)
+    totals = blocked.groupBy("__block").agg(F.min("__m").alias("__first"), *(SUM[how][0](c).alias(c) for c, how in measures.items()))
+    offsets = totals.select("__block", F.min("__first").over(after).alias("__next_block"), *(SUM[how][0](c).over(before).alias(f"{c}_before") for c, how in measures.items()))
+    inside = blocked.select("__block", "__m", *here, F.lead("__m").over(by).alias("__next"))
     on_top = [F.when(F.col(f"{c}_before").isNull(), F.col(c)).otherwise(SUM[how][1](F.col(c), F.col(f"{c}_before"))).alias(c) for c, how in measures.items()]
-    return inside.join(offsets, "block").select("m", *on_top, F.coalesce("next", "next_block").alias("next"))
+    return inside.join(offsets, "__block").select("__m", *on_top, F.coalesce("__next", "__next_block").alias("__next"))
 
 
 def accumulate(rows: DataFrame, keys: list[str], axis: str, step: int, n: int, measures: Mapping[str, str], layout: str = "carried") -> DataFrame:
@@ -47,11 +47,11 @@ def accumulate(rows: DataFrame, keys: list[str], axis: str, step: int, n: int, m
     run = running(tile_sums(rows, keys, axis, step, measures), keys, measures)
     last = n // step
     if layout == "sparse":
-        return run.where(F.col("m") < last).select(*keys, (F.col("m") + 1).alias(f"q_{axis}"), *measures)
+        return run.where(F.col("__m") < last).select(*keys, (F.col("__m") + 1).alias(f"q_{axis}"), *measures)
     if layout != "carried":
         raise SpecError(f"unknown layout {layout}")
-    end = F.coalesce("next", F.lit(last))
-    return run.where(F.col("m") + 1 <= F.least(end, F.lit(last))).select(*keys, F.explode(F.sequence(F.col("m") + 1, F.least(end, F.lit(last)))).alias(f"q_{axis}"), *measures)
+    end = F.coalesce("__next", F.lit(last))
+    return run.where(F.col("__m") + 1 <= F.least(end, F.lit(last))).select(*keys, F.explode(F.sequence(F.col("__m") + 1, F.least(end, F.lit(last)))).alias(f"q_{axis}"), *measures)
 
 
 def columns_of(grid: GridSpec, subset: Subset) -> list[str]:
