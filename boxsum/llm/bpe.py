@@ -209,7 +209,7 @@ def decode(encoded: DataFrame, vocabulary: str, pattern: str, ids_col: str = "id
         raise ValueError(f"column {out} is there already")
     from pyspark.sql.types import BinaryType, StructType
 
-    schema = StructType(encoded.schema.fields).add(out, BinaryType())
+    schema = StructType([*encoded.schema.fields]).add(out, BinaryType())
     at = encoded.columns.index(ids_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

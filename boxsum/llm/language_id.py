@@ -40,14 +40,13 @@ def letters() -> np.ndarray:
 
 def ngrams(texts: list[str | None], n: int = N) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Hashes of all n-grams of all texts, how many each text has, and whether each has a letter."""
-    joined = "\n".join((t or "").lower().replace("\n", " ") for t in texts)
+    joined = "".join((t or "").lower().replace("\n", " ") + "\n" for t in texts)
     codes = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
     newline = codes == 10
     letter = letters()[codes]
-    # one space for each run of others, n - 1 between texts so that every text has its own n-grams
+    # one space for each run of others, the end of a text among them
     keep = letter.copy()
     keep[1:] |= letter[:-1]
-    keep |= newline
     text = np.cumsum(newline) - newline
     clean, owner = np.where(letter, codes, 32)[keep].astype(np.uint64), text[keep]
     has = np.bincount(text[letter], minlength=len(texts)) > 0
