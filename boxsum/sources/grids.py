@@ -106,8 +106,8 @@ def hourly_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.range(720).select(F.col("id").cast("int").alias("t")).join(F.broadcast(found), "t", "left").select("t", F.coalesce("k", F.lit(0)).alias("k"))
 
 
-def field(max_r: int | None = 100) -> Grid:
-    """The dense field: plane times hours; rows of the plane below max_r."""
+def field(max_r: int | None = None) -> Grid:
+    """The dense field: plane times hours; of the plane only the rows below max_r, if that is given."""
 
     def cells(spark: SparkSession, sf_dir: str) -> DataFrame:
         plane = _plane(spark, sf_dir) if max_r is None else _plane(spark, sf_dir).where(F.col("r") < max_r)
@@ -135,7 +135,7 @@ def _line(spark: SparkSession, sf_dir: str) -> DataFrame:
     return docs.join(labels, "d", "left").select("d", "sx", "n", F.coalesce("w", F.lit(0)).alias("sw"), (F.coalesce("w", F.lit(0)) * F.col("sx")).alias("swx"))
 
 
-G6 = Grid(GridSpec("line", (AxisSpec("d", 1000, 50),), ("sx", "n", "sw", "swx")), _line, "SELECT CAST(d.doc_id AS INT) AS d, n_chars AS sx, CAST(1 AS BIGINT) AS n, CAST(coalesce(quality, 0) AS BIGINT) AS sw, CAST(coalesce(quality, 0) * n_chars AS BIGINT) AS swx FROM documents d LEFT JOIN labels l ON l.doc_id = d.doc_id")
+G6 = Grid(GridSpec("line", (AxisSpec("d", 300_000, 50),), ("sx", "n", "sw", "swx")), _line, "SELECT CAST(d.doc_id AS INT) AS d, n_chars AS sx, CAST(1 AS BIGINT) AS n, CAST(coalesce(quality, 0) AS BIGINT) AS sw, CAST(coalesce(quality, 0) * n_chars AS BIGINT) AS swx FROM documents d LEFT JOIN labels l ON l.doc_id = d.doc_id")
 
 
 def _four(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -158,7 +158,7 @@ def _talk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cells_from_table(table(spark, sf_dir, "conversations"), {"k": F.col("conv_id"), "turn": F.col("turn")}, F.length("text").cast("long"))
 
 
-G9 = Grid(GridSpec("talk", (AxisSpec("k", 100, 20), AxisSpec("turn", 8, 4))), _talk, "SELECT CAST(conv_id AS INT) AS k, CAST(turn AS INT) AS turn, CAST(sum(length(text)) AS BIGINT) AS sx, count(*) AS n FROM conversations GROUP BY ALL")
+G9 = Grid(GridSpec("talk", (AxisSpec("k", 30_000, 20), AxisSpec("turn", 8, 4))), _talk, "SELECT CAST(conv_id AS INT) AS k, CAST(turn AS INT) AS turn, CAST(sum(length(text)) AS BIGINT) AS sx, count(*) AS n FROM conversations GROUP BY ALL")
 
 
 def _balance(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -58,13 +58,14 @@ def box_sql(grid: Grid, box: Mapping[str, Range], over: Iterable[str], divisor:
 
 
 def anchor_sql(grid: Grid, subset: Iterable[str], stride=1) -> str:
-    """The rows of an anchor table with something below: cells joined with all anchors beyond them."""
+    """The rows of an anchor table with something below: tile sums joined with all anchors beyond them."""
     subset = grid.spec.order(subset)
     each = stride if isinstance(stride, Mapping) else dict.fromkeys(subset, stride)
     step = {a: grid.spec[a].tile * each.get(a, 1) for a in subset}
     columns = [f"q_{a}" if a in subset else a for a in grid.spec.names]
-    joins = " ".join(f"JOIN (SELECT CAST(k AS INT) AS q_{a} FROM range(1, {grid.spec[a].n // step[a] + 1}) x(k)) g_{a} ON {a} < q_{a} * {step[a]}" for a in subset)
-    return f"WITH cells AS ({grid.sql}) SELECT {', '.join(columns)}, CAST(sum(sx) AS BIGINT) AS sx, CAST(sum(n) AS BIGINT) AS n FROM cells {joins} GROUP BY {', '.join(columns)}"
+    tiles = ", ".join(f"{a} // {step[a]} AS m_{a}" if a in subset else a for a in grid.spec.names)
+    joins = " ".join(f"JOIN (SELECT CAST(k AS INT) AS q_{a} FROM range(1, {grid.spec[a].n // step[a] + 1}) x(k)) g_{a} ON m_{a} < q_{a}" for a in subset)
+    return f"WITH cells AS ({grid.sql}), tiles AS (SELECT {tiles}, sum(sx) AS sx, sum(n) AS n FROM cells GROUP BY ALL) SELECT {', '.join(columns)}, CAST(sum(sx) AS BIGINT) AS sx, CAST(sum(n) AS BIGINT) AS n FROM tiles {joins} GROUP BY {', '.join(columns)}"
 
 
 def add_box(name: str, grid: Grid, box: Mapping[str, Range], over: Iterable[str], subsets=None, stride=1, mode: str = "floor", divisor: str = "cells") -> None:

@@ -22,7 +22,7 @@ LINE = {"d": (37, 861)}
 
 # -- building -----------------------------------------------------------------------------------------------
 
-add("m01_prefix_1d", lambda s, d: baseline.range_average(G6.cells(s, d).where("d < 1000"), "d", *LINE["d"]), "SELECT CAST(sum(n_chars) AS BIGINT) AS s, CAST(sum(n_chars) AS DOUBLE) / 824 AS avg FROM documents WHERE doc_id >= 37 AND doc_id < 861")
+add("m01_prefix_1d", lambda s, d: baseline.range_average(G6.cells(s, d), "d", *LINE["d"]), "SELECT CAST(sum(n_chars) AS BIGINT) AS s, CAST(sum(n_chars) AS DOUBLE) / 824 AS avg FROM documents WHERE doc_id >= 37 AND doc_id < 861")
 for _s in all_subsets("yxt"):
     add_anchor(f"m0{min(len(_s), 3) + 2}_anchor_{''.join(_s)}", G1, _s)
 add_anchor("m05_anchor_4d", G7, "yxzt")
@@ -246,7 +246,7 @@ _SERVICES = [("r",), ("c",), ("t",), ("r", "c")]
 
 def _points_sql(strides, of=None) -> str:
     """Points of the field's tables by arithmetic alone."""
-    n, tile = {"r": 100, "c": 64, "t": 720}, {"r": 50, "c": 16, "t": 40}
+    n, tile = {"r": 2000, "c": 64, "t": 720}, {"r": 50, "c": 16, "t": 40}
     if of:
         n = {"r": of, "c": 64, "t": 720}
     rows = []
@@ -277,7 +277,7 @@ def reads(s, d) -> DataFrame:
 
 # r: anchor 1, gaps [50, 77) and [0, 3); c: anchor 3, gaps [48, 59) and [0, 5); 100 slices
 add("c9_cells_read", reads, "SELECT scan, CAST(k AS BIGINT) AS planned, CAST(k AS BIGINT) AS found FROM (VALUES ('cells', (27 + 3) * (11 + 5) * 100), ('r', 1 * (11 + 5) * 100), ('c', (27 + 3) * 1 * 100), ('r+c', 1 * 1 * 100)) v(scan, k)")
-add("c8_tiles_touched", lambda s, d: s.createDataFrame([(plan_box(G4.spec, {x: AnchorSpec.uniform(G4.spec, x) for x in all_subsets("rc")}, {"r": (3, 77), "c": (5, 59), "t": (100, 200)}, "rc").tiles(G4.spec),)], "tiles long"), "SELECT count(DISTINCT (r // 50, c // 16, t // 40)) AS tiles FROM range(100) a(r), range(64) b(c), range(100, 200) k(t) WHERE (r < 3 OR r >= 50 AND r < 77) AND (c < 5 OR c >= 48 AND c < 59)")
+add("c8_tiles_touched", lambda s, d: s.createDataFrame([(plan_box(G4.spec, {x: AnchorSpec.uniform(G4.spec, x) for x in all_subsets("rc")}, {"r": (3, 77), "c": (5, 59), "t": (100, 200)}, "rc").tiles(G4.spec),)], "tiles long"), "SELECT count(DISTINCT (r // 50, c // 16, t // 40)) AS tiles FROM range(2000) a(r), range(64) b(c), range(100, 200) k(t) WHERE (r < 3 OR r >= 50 AND r < 77) AND (c < 5 OR c >= 48 AND c < 59)")
 
 
 def top(s, d) -> DataFrame:

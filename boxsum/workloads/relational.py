@@ -128,7 +128,7 @@ def ranks(s, d) -> DataFrame:
     return hourly(s, d).select("t", F.row_number().over(w).alias("rn"), F.rank().over(v).alias("rk"), F.dense_rank().over(v).alias("dr"), F.ntile(4).over(w).alias("quarter"))
 
 
-add("o21_rank_hours", ranks, _HOURLY + "SELECT t, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, ntile(4) OVER w AS quarter FROM hourly WINDOW w AS (PARTITION BY t // 24 ORDER BY n DESC, t), v AS (PARTITION BY t // 24 ORDER BY n DESC)")
+add("o21_rank_hours", ranks, _HOURLY + "SELECT t, CAST(row_number() OVER w AS INT) AS rn, CAST(rank() OVER v AS INT) AS rk, CAST(dense_rank() OVER v AS INT) AS dr, CAST(ntile(4) OVER w AS INT) AS quarter FROM hourly WINDOW w AS (PARTITION BY t // 24 ORDER BY n DESC, t), v AS (PARTITION BY t // 24 ORDER BY n DESC)")
 add("o22_lag_series", lambda s, d: hourly(s, d).select("t", (F.col("s") - F.lag("s").over(by_t())).alias("change"), F.lead("s").over(by_t()).alias("coming"), F.first("s").over(by_t()).alias("opening")), _HOURLY + "SELECT t, s - lag(s) OVER w AS change, lead(s) OVER w AS coming, first_value(s) OVER w AS opening FROM hourly WINDOW w AS (ORDER BY t)")
 add("o23_topk_cells", lambda s, d: G1.cells(s, d).orderBy(F.desc("sx"), "y", "x", "t").limit(25), _SHIP + "SELECT * FROM cells ORDER BY sx DESC, y, x, t LIMIT 25")
 add("o24_intersect_tiles", lambda s, d: tiles(G1.cells(s, d).where("sx > 15000000")).intersect(tiles(G1.cells(s, d).where("n > 1"))), _SHIP + f"{_TILES} FROM cells WHERE sx > 15000000 INTERSECT {_TILES} FROM cells WHERE n > 1")
@@ -174,6 +174,9 @@ def pieces_by_table_function(s, d) -> DataFrame:
     return s.sql("SELECT box_id, p.* FROM {boxes}, LATERAL box_pieces(t_lo, t_hi, 50, 2499) p", boxes=boxes(s, 20))
 
 
-add("u03_pieces_udtf", pieces_by_table_function)
+_ENDS = f"WITH e AS (SELECT box_id, t_lo, t_hi, CAST(t_lo // 50 AS INT) AS a, CAST(t_hi // 50 AS INT) AS b FROM ({boxes_sql(20)})) "
+add("u03_pieces_udtf", pieces_by_table_function, _ENDS + " UNION ALL ".join(f"SELECT box_id, '{kind}' AS kind, CAST({lo} AS INT) AS lo, CAST({hi} AS INT) AS hi, {sign} AS sign FROM e WHERE {when}" for kind, lo, hi, sign, when in (
+    ("gap", "t_lo", "t_hi", 1, "a = b"), ("anchor", "b", "b", 1, "a <> b AND b > 0"), ("anchor", "a", "a", -1, "a <> b AND a > 0"), ("gap", "b * 50", "t_hi", 1, "a <> b AND b * 50 < t_hi"), ("gap", "a * 50", "t_lo", -1, "a <> b AND a * 50 < t_lo"),
+)))
 add("o33_fact_of_axes", lambda s, d: G6.cells(s, d).agg(F.min("d").alias("lo"), F.max("d").alias("hi"), F.count("*").alias("n")), "SELECT CAST(min(doc_id) AS INT) AS lo, CAST(max(doc_id) AS INT) AS hi, count(*) AS n FROM documents")
 add("o34_anchor_max_by", lambda s, d: store_of(s, d, G1, [("t",)]).tables["t",].groupBy("y", "x").agg(F.max_by("sx", "q_t").alias("sx")), f"SELECT y, x, sx FROM ({anchor_sql(G1, 't')}) QUALIFY row_number() OVER (PARTITION BY y, x ORDER BY q_t DESC) = 1")

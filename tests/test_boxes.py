@@ -180,6 +180,16 @@ def test_stored_tables_answer_with_pushed_filters(spark, cube, tmp_path):
     assert "ReadSchema" in plan and "CartesianProduct" not in plan
 
 
+def test_boxes_that_end_on_anchors_need_no_shuffle(spark, cube, tmp_path):
+    cells, rows = cube
+    io.write_store(AnchorStore.build(cells, CUBE, all_subsets("ab")), f"file://{tmp_path}/s")
+    store = io.read_store(spark, f"file://{tmp_path}/s")
+    box = {"a": (0, 6), "b": (0, 3)}
+    out = query.box_sum(store, box, "ab")
+    assert got(out, "ab") == brute(rows, box, "ab")
+    assert "Exchange" not in out._jdf.queryExecution().executedPlan().toString()
+
+
 def test_accuracy_measure(spark):
     a = spark.createDataFrame([(1, 1.0), (2, 3.0), (3, 5.0)], "k int, avg double")
     b = spark.createDataFrame([(1, 1.0), (2, 3.5), (4, 5.0)], "k int, avg double")
