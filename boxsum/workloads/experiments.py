@@ -52,16 +52,18 @@ add("w05_accuracy_int", accuracy_table, " UNION ALL ".join(f"SELECT '{service}'
 
 
 def accuracy_float(s, d) -> DataFrame:
-    """The same on a dense field of doubles, and of values kept in single precision and summed in double."""
+    """The same on a dense field of doubles, of values kept in single precision, and with anchors kept in single precision."""
     plane = s.read.parquet(f"{d}/embeddings.parquet").select(F.col("vec_id").cast("int").alias("r"), F.posexplode("embedding").alias("c", "v"))
     rows = []
-    for kind in ("double", "float"):
-        value = (F.col("v").cast("double") * (1 + F.sin(F.col("t") / 7.0)) * 1e-3).cast(kind).cast("double")
+    for kind in ("double", "float", "float_anchors"):
+        value = ((F.col("v").cast("double") + 0.5) * (1 + F.sin(F.col("t") / 7.0))).cast("double" if kind == "double" else "float").cast("double")
         cells = plane.crossJoin(s.range(720).select(F.col("id").cast("int").alias("t"))).select("r", "c", "t", value.alias("sx"), F.lit(1).cast("long").alias("n"))
         grid = G4.spec
         for service, over, keys in (("series", "rc", ["t"]), ("map", "t", ["r", "c"])):
             store = AnchorStore.build(cells, grid, all_subsets(over), 2)
-            box = {}
+            if kind == "float_anchors":
+                store.tables = {x: t.withColumn("sx", F.col("sx").cast("float")) for x, t in store.tables.items()}
+            box = {"t": (31, 700)} if service == "map" else {}
             found = measure.nrmsd(baseline.scan_average(cells, grid, box, over), query.box_average(store, box, over), keys)
             rows.append(found.select(F.lit(service).alias("service"), F.lit(kind).alias("kind"), "*"))
     return measure.union(rows)
