@@ -3,10 +3,11 @@
 Each distinct vector is normalised and turned by a fixed random rotation; its code is the signs of the turned
 vector, its factor the inner product f of the vector with its own code (scaled to length one). For another
 turned vector q and b = <code, q>, b / f estimates the cosine without bias. Its error is
-sqrt(1 - f^2) / f * <rest, q>, where rest is the unit vector beside the code; at a confidence of
-1 - 2 exp(-e^2 / 2) that product is at most e / sqrt(d - 1), and it is surely at most sqrt(1 - b^2). The interval
-takes the tighter of both; with the default e the sure one is always the tighter near the threshold, so no link
-is lost. Only pairs whose upper bound reaches the threshold are computed exactly, in double precision.
+sqrt(1 - f^2) / f * <rest, q>, where rest is a unit vector at right angles to the coded one; at a confidence of
+1 - 2 exp(-e^2 / 2) that product is at most e / sqrt(d - 1). Besides, the angle between the two vectors is surely
+no less than the difference of their angles to the code. The upper bound is the lesser of both; with the default
+e the sure one is the lesser wherever the threshold can be reached, so no link is lost. Only pairs whose upper
+bound reaches the threshold are computed exactly, in double precision.
 
 Vectors are compared when their labels and lengths are equal. Null labels or vectors, vectors with null or
 non-finite components, and zero vectors link with nothing. Equal vectors are compared once, as one of a weight.
@@ -55,8 +56,9 @@ def upper_bounds(code: np.ndarray, factor: np.ndarray, turned: np.ndarray, epsil
     b = np.clip(signs @ turned.T / np.float32(np.sqrt(d)), -1, 1)
     f = np.clip(factor, 1e-6, 1)[:, None].astype(np.float32)
     estimate = b / f
-    rest = np.minimum(np.float32(epsilon / np.sqrt(max(d - 1, 1))), np.sqrt(1 - b * b))
-    return estimate, estimate + np.sqrt(1 - f * f) / f * rest
+    likely = estimate + np.sqrt(1 - f * f) / f * np.float32(epsilon / np.sqrt(max(d - 1, 1)))
+    sure = f * b + np.sqrt((1 - f * f) * (1 - b * b))
+    return estimate, np.minimum(likely, sure)
 
 
 def linked(x: np.ndarray, y: np.ndarray | None, code: np.ndarray, factor: np.ndarray, threshold: float, epsilon: float = EPSILON) -> tuple[np.ndarray, np.ndarray, int]:
