@@ -7,6 +7,7 @@ from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, LongType, StringType, StructField, StructType
 
 from boxsum.operators.build import AnchorStore
 from boxsum.plans.spec import AnchorCatalog, GridSpec, Subset
@@ -55,3 +56,27 @@ def only(store: AnchorStore, *subsets: Subset) -> AnchorStore:
     """The store with just these tables."""
     keep = {store.grid.order(s) for s in subsets}
     return replace(store, specs={s: v for s, v in store.specs.items() if s in keep}, tables={s: v for s, v in store.tables.items() if s in keep})
+
+
+def box_schema(grid: GridSpec) -> StructType:
+    """box_id and, for each axis, its half-open bounds."""
+    out = StructType([StructField("box_id", LongType())])
+    for a in grid.names:
+        out = out.add(f"{a}_lo", IntegerType()).add(f"{a}_hi", IntegerType())
+    return out
+
+
+def read_boxes(spark: SparkSession, path: str, grid: GridSpec, kind: str = "csv") -> tuple[DataFrame, DataFrame]:
+    """(boxes, refused) from CSV with a header, JSON lines or Parquet, by a declared schema; refused ones are outside the grid or empty."""
+    reader = spark.read.schema(box_schema(grid))
+    rows = (reader.option("header", True) if kind == "csv" else reader).format(kind).load(path)
+    good = F.col("box_id").isNotNull()
+    for a in grid.axes:
+        good = good & F.coalesce((F.col(f"{a.name}_lo") >= 0) & (F.col(f"{a.name}_lo") < F.col(f"{a.name}_hi")) & (F.col(f"{a.name}_hi") <= a.n), F.lit(False))
+    return rows.where(good), rows.where(~good)
+
+
+def read_dictionary(spark: SparkSession, path: str, axis: str, kind: str = "csv") -> DataFrame:
+    """(<axis>, label) of an axis whose coordinates are names; small, as the axis is."""
+    reader = spark.read.schema(StructType([StructField(axis, IntegerType()), StructField("label", StringType())]))
+    return (reader.option("header", True) if kind == "csv" else reader).format(kind).load(path)
