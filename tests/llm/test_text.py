@@ -5,6 +5,7 @@ import struct
 import zlib
 
 import numpy as np
+import corpus_pipeline
 import public_tokenizers
 import pytest
 import tiktoken
@@ -256,6 +257,32 @@ def test_ngrams_of_a_text_do_not_depend_on_its_neighbours():
     assert language_id.ngrams(texts)[0].tolist() == [h for hs in alone for h in hs]
 
 
+def test_texts_in_no_learned_language_are_dropped(spark):
+    r = random.Random(8)
+    words = {lang: ["".join(r.choice(letters) for _ in range(r.randint(3, 8))) for _ in range(60)] for lang, letters in (("en", "abcdefgh"), ("de", "efghijklä"), ("fr", "ghijmnoé"))}
+    said = lambda lang, n: " ".join(r.choice(words[lang]) for _ in range(n))
+    learned = spark.createDataFrame([(i, said(lang, 60), lang) for i, lang in enumerate(list(words) * 60)], "doc_id long, text string, lang string")
+    foreign = "Wszyscy ludzie rodzą się wolni i równi pod względem swej godności i swych praw"
+    noise = " ".join("".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(r.randint(2, 9))) for _ in range(300))
+    texts = [said("en", 40), said("fr", 5), said("de", 20) + " " + said("fr", 20), said("en", 10) + " " + said("de", 10) + "\n" + said("fr", 10), foreign, noise, foreign + " " + said("en", 1), "все люди рождаются", "", None]
+    docs = spark.createDataFrame([(i, t, None) for i, t in enumerate(texts)], "doc_id long, text string, lang string")
+    model = language_id.train(learned, per_language=None, log_rows=16)
+    kept = {x.doc_id for x in language_id.keep_identified(docs, language_id.with_floors(model, learned, per_language=None), 0.1).collect()}
+    assert kept == {0, 1, 2, 3}
+    assert language_id.with_floors(language_id.train(learned.limit(0)), learned.limit(0)).floors is None
+
+
+def test_language_stage_drops_foreign_texts(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select(corpus_pipeline.COLUMNS)
+    noise = " ".join("".join(random.Random(i).choices("abcdefghijklmnopqrstuvwxyz", k=7)) for i in range(300))
+    foreign = ["Wszyscy ludzie rodzą się wolni i równi pod względem swej godności i swych praw. " * 3, "Alle mennesker er født frie og med samme menneskeverd", noise]
+    # their ids are among the held-out ones, so that nothing is learned from them
+    held = [i for i in range(10**6, 10**6 + 100) if zlib.crc32(str(i).encode()) % 4 == 2]
+    new = spark.createDataFrame([(i, t, "xx", "src0", len(t)) for i, t in zip(held, foreign, strict=False)], docs.schema)
+    kept = {r.doc_id for r in corpus_pipeline.by_language(spark, docs.unionByName(new), "").collect()}
+    assert not kept & set(held) and len(kept) > 0.95 * docs.count()
+
+
 def test_bloom_rows_hold_every_language():
     masks = np.zeros(1 << 10, np.uint64)
     h = np.random.default_rng(0).integers(0, 1 << 63, 60, np.uint64)
