@@ -6,6 +6,9 @@ numbers as there are classes, goes to the driver and through column generation;
 by bucket and id, and ranks are dealt to the slots of patterns by arithmetic. Offsets in a sequence are sums of
 true lengths, so there is no gap; padding is what the rounding and the last bins leave at the end.
 
+Added tokens (content to id) are found in the raw text first and are one id each, as the tokenizers library has
+it; what lies between them goes to the ranks piece by piece. Without them their letters are ordinary text.
+
 No document is cut but into its full stretches and its tail. Null and empty texts are their separator alone. Each
 row is a document, also one that repeats another's id (pieces then have that id more than once).
 """
@@ -13,6 +16,7 @@ row is a document, also one that repeats another's id (pieces then have that id
 from __future__ import annotations
 
 import base64
+import json
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -29,21 +33,32 @@ from boxsum.llm.shared import blocks, cut
 CAPACITY, GRAIN, SEPARATOR = 1024, 8, 0
 
 
+def added_tokens(path: str) -> dict[str, int]:
+    """Content and id of the added tokens of a tokenizer's JSON."""
+    with open(path, encoding="utf-8") as f:
+        tokens = json.load(f)["added_tokens"]
+    if odd := [t["content"] for t in tokens if t["lstrip"] or t["rstrip"] or t["single_word"]]:
+        raise ValueError(f"added tokens that take or need what stands beside them are not known here: {odd}")
+    return {t["content"]: t["id"] for t in tokens}
+
+
 @lru_cache(maxsize=4)
-def tokenizer(path: str, pattern: str) -> tiktoken.Encoding:
+def tokenizer(path: str, pattern: str, added: tuple[tuple[str, int], ...] = ()) -> tiktoken.Encoding:
     with open(path, "rb") as f:
         ranks = {base64.b64decode(t): int(r) for t, r in map(bytes.split, filter(None, f.read().splitlines()))}
-    return tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+    return tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=ranks, special_tokens=dict(added))
 
 
-def tokenise(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, separator: int = SEPARATOR, with_ids: bool = False) -> DataFrame:
+def tokenise(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, separator: int = SEPARATOR, with_ids: bool = False, added: dict[str, int] | None = None) -> DataFrame:
     """(row, id, tokens, crcs[, ids]): of each row its token count with the separator, and a checksum of each stretch."""
 
+    special = tuple(sorted((added or {}).items()))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoding = tokenizer(ranks, pattern)
+        encoding = tokenizer(ranks, pattern, special)
         end = np.array([separator], "<u4").tobytes()
         for b in blocks(batches, "text"):
-            raw = [np.asarray(encoding.encode_to_numpy(t or "", disallowed_special=()), "<u4").tobytes() + end for t in b.column("text").to_pylist()]
+            raw = [np.asarray(encoding.encode_to_numpy(t or "", allowed_special="all"), "<u4").tobytes() + end for t in b.column("text").to_pylist()]
             crcs = [[zlib.crc32(r[i : i + 4 * capacity]) for i in range(0, len(r), 4 * capacity)] for r in raw]
             cols = [b.column("row"), b.column("id"), pa.array([len(r) // 4 for r in raw], pa.int64()), pa.array(crcs, pa.list_(pa.int64()))]
             if with_ids:
@@ -54,10 +69,10 @@ def tokenise(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id",
     return rows.mapInArrow(run, f"row long, id {dict(rows.dtypes)['id']}, tokens long, crcs array<long>" + (", ids array<int>" if with_ids else ""))
 
 
-def pack(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, grain: int = GRAIN, separator: int = SEPARATOR, with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, grain: int = GRAIN, separator: int = SEPARATOR, with_ids: bool = False, added: dict[str, int] | None = None) -> DataFrame:
     """(id, start, length, ids_crc32, doc_tokens, sequence_id, offset[, ids]): a row for each piece."""
     spark = docs.sparkSession
-    docs_ids = cut(tokenise(docs, ranks, pattern, id_col, text_col, capacity, separator, with_ids))
+    docs_ids = cut(tokenise(docs, ranks, pattern, id_col, text_col, capacity, separator, with_ids, added))
     buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
     tail = F.pmod(F.col("tokens"), F.lit(capacity))
     rows = docs_ids.select("*", F.floor(F.col("tokens") / capacity).alias("full"), tail.alias("tail"), F.ceil(tail / grain).cast("int").alias("class"), F.pmod(F.xxhash64("row"), F.lit(buckets)).alias("bucket"))

@@ -13,6 +13,8 @@ from boxsum.llm.shared import table
 
 #: Where the vocabularies are; every worker has them at the same place.
 BPE_RANKS = public_tokenizers.path("byte_bpe_50k.tiktoken")
+#: The tokenizer of the same ranks, with the tokens that it adds to them.
+BPE_JSON = public_tokenizers.path("byte_bpe_50k.json")
 
 
 def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -53,7 +55,7 @@ def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack(table(spark, sf_dir, "documents"), BPE_RANKS, public_tokenizers.PATTERN)
+    return packing.pack(table(spark, sf_dir, "documents"), BPE_RANKS, public_tokenizers.PATTERN, added=packing.added_tokens(BPE_JSON))
 
 
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,7 +12,7 @@ import tiktoken
 from tokenizers import Tokenizer
 
 from boxsum.llm import bpe, cutting_stock, language_id, media, packing, quality, secret_scan
-from boxsum.llm.queries import BPE_RANKS
+from boxsum.llm.queries import BPE_JSON, BPE_RANKS, QUERIES
 from boxsum.llm.trigram_query import trigram_query
 
 TEXTS = [None, "", " ", "a", "Hello world, it's 2024!", "  two  spaces \n\n and lines\t\r\n", "naïve café — 漢字 😀😀 ٣٤", "aaaaaaaaaaaaaaaaaaaaaaaaa", "ababababa" * 9, "x\x1cy\x85z w 　v", "<|endoftext|> is text", "don't we'll I'VE", "word " * 5000]
@@ -223,6 +223,22 @@ def test_packing_places_each_id_once(spark):
     assert packing.pack(docs.limit(0), BPE_RANKS, public_tokenizers.PATTERN).count() == 0
 
 
+def test_packing_queries_know_the_added_token(spark, tmp_path):
+    tok = Tokenizer.from_file(BPE_JSON)
+    texts = ["<|endoftext|>", "<|endoftext|> is text", "a  <|endoftext|>  b\n<|endoftext|><|endoftext|>c", "<|endoftext| >", "<|endof<|endoftext|>text|>", "x " * 1023 + "<|endoftext|>", "it's<|endoftext|>'s", None, *(t for t in TEXTS if t)]
+    spark.createDataFrame([(i, t, None, None, None) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    for found in (QUERIES["op8_packing"](spark, str(tmp_path)), corpus_pipeline.packed(spark, docs, str(tmp_path))):
+        got = {(p.doc_id, p.start): (p.length, p.ids_crc32, p.doc_tokens) for p in found.collect()}
+        want = {}
+        for i, t in enumerate(texts):
+            ids = [*tok.encode(t or "", add_special_tokens=False).ids, 0]
+            for k in range(0, len(ids), 1024):
+                part = ids[k : k + 1024]
+                want[i, k] = (len(part), zlib.crc32(struct.pack(f"<{len(part)}I", *part)), len(ids))
+        assert got == want and got[0, 0][2] == 2
+
+
 # -- classifiers --------------------------------------------------------------------------------------------
 
 
