@@ -48,14 +48,19 @@ BASE = (
     Rule("access", r"AKIA[A-Z0-9]+", 0, 16),
     Rule("hex", r"[0-9a-f]+", 0, 32),
 )
+# A key runs to its END line, of which no other BEGIN stands before; where that is missing, over its header fields and
+# runs of base64 to a last, shorter line of it. Line breaks may be written as escapes, as in JSON.
+BREAK, LINE_BREAK = r"(?:\\[rn]|\s)", r"(?:\\[rn]|[\r\n])+[ \t]*"
+WHOLE = r"(?:[^-]|-(?!----BEGIN ))*?-----END [A-Z ]*PRIVATE KEY-----"
+CUT_OFF = rf"(?:{BREAK}+(?:Proc-Type|DEK-Info|Version|Comment):[^\r\n\\]*)*(?:{BREAK}*[A-Za-z0-9+/]{{24,}}={{0,2}}(?![A-Za-z0-9+/=_-]))*(?:{LINE_BREAK}[A-Za-z0-9+/]+={{0,2}}(?=[ \t]*(?:\\[rn]|[\r\n\"']|$)))?"
 FURTHER = (
-    Rule("private_key", r"-----BEGIN [A-Z ]*PRIVATE KEY-----"),
+    Rule("private_key", rf"-----BEGIN [A-Z ]*PRIVATE KEY-----(?:{WHOLE}|{CUT_OFF})"),
     Rule("source_host", r"gh[pousr]_[A-Za-z0-9]{36}"),
     Rule("chat", r"xox[abprs]-[A-Za-z0-9-]{10,}"),
     Rule("web_token", r"eyJ[A-Za-z0-9_-]{10,}\.eyJ[A-Za-z0-9_-]{10,}\.[A-Za-z0-9_-]{10,}"),
     Rule("map_key", r"AIza[0-9A-Za-z_-]{35}"),
     Rule("payment", r"sk_live_[0-9A-Za-z]{16,}"),
-    Rule("url_login", r"[a-z]{3,10}://[^\s/:@]{1,64}:[^\s/:@]{3,64}@[A-Za-z0-9.-]+"),
+    Rule("url_login", r"[a-z]{3,10}://[^\s/:@]+:[^\s/:@]{3,}@[A-Za-z0-9.-]+"),
 )
 RULES = (*BASE, *FURTHER)
 Span = tuple[int, int, int]

@@ -105,6 +105,28 @@ def test_redaction_leaves_no_secret_and_all_else(spark):
             assert not brute_spans(r.text) and "[secret]" in r.text and r.n_chars == len(r.text)
 
 
+def test_whole_keys_and_long_passwords_are_found(spark):
+    r = random.Random(5)
+    line = lambda n=64: "".join(r.choice("ABCXYZabcxyz0189+/") for _ in range(n))
+    begin, end = "-----BEGIN RSA PRIVATE KEY-----", "-----END RSA PRIVATE KEY-----"
+    fields = "Proc-Type: 4,ENCRYPTED\nDEK-Info: AES-128-CBC,0A1B2C\n\n"
+    body = "\n".join([*(line() for _ in range(25)), line(22) + "=="])
+    found = [
+        (f"{begin}\n{body}\n{end}", "private_key"), (f"{begin}\n{fields}{body}\n{end}", "private_key"), (f"{begin} {body} {end}".replace("\n", " "), "private_key"), (f"{begin}\n{body}\n{end}".replace("\n", "\\n"), "private_key"),
+        (f"{begin}\n{body}", "private_key"), (f"{begin}\n{fields}{body}", "private_key"), (f"{begin}\n{body}".replace("\n", "\\n"), "private_key"), (f"{begin}\nMIIEab", "private_key"), (begin, "private_key"),
+        (f"https://user:{'a1B2' * 30}@host.example", "url_login"), (f"https://{'u' * 90}:pa55word@host.example", "url_login"),
+    ]
+    texts = [f"before {x}\nand then after" for x, _ in found]
+    two = f"{begin}\n{line()}\nprose between\n{begin}\n{body}\n{end} rest"
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate([*texts, two])], "doc_id long, text string")
+    got = {x.doc_id: [(s.start, s.end, s.kind) for s in x.spans] for x in secret_scan.find_secrets(docs).collect()}
+    for i, (x, kind) in enumerate(found):
+        assert (7, 7 + len(x), kind) in got[i], x
+    clean = {x.doc_id: x.text for x in secret_scan.redact(docs).collect()}
+    assert all(clean[i] == "before [secret]\nand then after" for i in range(len(found)))
+    assert clean[len(found)] == "[secret]\nprose between\n[secret] rest"
+
+
 def holds(query, folded):
     if query is True:
         return True
