@@ -28,31 +28,39 @@ def sized(grid, over: str, sizes, stride: int):
     return run, " UNION ALL ".join(f"SELECT *, {k} AS size FROM ({box_sql(grid, {'t': (0, k)}, over)})" for k in sizes)
 
 
-add("w01_series_g4", *sized(G4, "rc", SIZES_FIELD[:3], 2))
+add("w01_series_g4", *sized(G4, "rc", SIZES_FIELD, 2))
 add("w01_series_g1", *sized(G1, "yx", SIZES_SHIP, 1))
 add_box("w02_series_full", G1, {}, "yx", stride=2)
-add("w03_map_g4", *sized(G4, "t", SIZES_FIELD[:3], 2))
+add_box("w02_series_full_g4", G4, {}, "rc", stride=2)
+add("w03_map_g4", *sized(G4, "t", SIZES_FIELD, 2))
 add("w03_map_g1", *sized(G1, "t", SIZES_SHIP, 1))
 add_box("w04_map_full", G4, {}, "t", stride=2)
+add_box("w04_map_full_g1", G1, {}, "t", stride=2)
 
 
-def accuracy_table(s, d) -> DataFrame:
-    """NRMSD of both services at all sizes, in whole numbers."""
-    series, maps = store_of(s, d, G1, all_subsets("yx")), store_of(s, d, G1, [("t",)])
-    rows = []
-    for service, store, over, keys in (("series", series, "yx", ["t"]), ("map", maps, "t", ["y", "x"])):
-        for k in SIZES_SHIP[:3]:
-            box = {"t": (0, k)}
-            found = measure.nrmsd(baseline.scan_average(store.cells, G1.spec, box, over), query.box_average(store, box, over), keys)
-            rows.append(found.select(F.lit(service).alias("service"), F.lit(k).alias("size"), "unmatched", "n", "nrmsd", "max_abs", "max_rel"))
-    return measure.union(rows)
+def accuracy(grid, space: str, sizes, stride: int):
+    """NRMSD of both services at all sizes, in whole numbers; and its SQL."""
+    services = (("series", space, ["t"]), ("map", "t", list(space)))
+
+    def run(s, d) -> DataFrame:
+        rows = []
+        for service, over, keys in services:
+            store = store_of(s, d, grid, all_subsets(over), stride)
+            for k in sizes:
+                box = {"t": (0, k)}
+                found = measure.nrmsd(baseline.scan_average(store.cells, grid.spec, box, over), query.box_average(store, box, over), keys)
+                rows.append(found.select(F.lit(service).alias("service"), F.lit(k).alias("size"), "unmatched", "n", "nrmsd", "max_abs", "max_rel"))
+        return measure.union(rows)
+
+    return run, " UNION ALL ".join(f"SELECT '{service}' AS service, {k} AS size, * FROM ({_ACCURATE.format(box_sql(grid, {'t': (0, k)}, over))})" for service, over, _ in services for k in sizes)
 
 
-add("w05_accuracy_int", accuracy_table, " UNION ALL ".join(f"SELECT '{service}' AS service, {k} AS size, * FROM ({_ACCURATE.format(box_sql(G1, {'t': (0, k)}, over))})" for service, over in (("series", "yx"), ("map", "t")) for k in SIZES_SHIP[:3]))
+add("w05_accuracy_int", *accuracy(G1, "yx", SIZES_SHIP, 1))
+add("w05_accuracy_int_g4", *accuracy(G4, "rc", SIZES_FIELD, 2))
 
 
 def accuracy_float(s, d) -> DataFrame:
-    """The same on a dense field of doubles, of values kept in single precision, and with anchors kept in single precision."""
+    """The same at all sizes, and an unaligned map, on a dense field of doubles, of values kept in single precision, and with anchors kept in single precision."""
     plane = s.read.parquet(f"{d}/embeddings.parquet").select(F.col("vec_id").cast("int").alias("r"), F.posexplode("embedding").alias("c", "v"))
     rows = []
     for kind in ("double", "float", "float_anchors"):
@@ -63,9 +71,10 @@ def accuracy_float(s, d) -> DataFrame:
             store = AnchorStore.build(cells, grid, all_subsets(over), 2)
             if kind == "float_anchors":
                 store.tables = {x: t.withColumn("sx", F.col("sx").cast("float")) for x, t in store.tables.items()}
-            box = {"t": (31, 700)} if service == "map" else {}
-            found = measure.nrmsd(baseline.scan_average(cells, grid, box, over), query.box_average(store, box, over), keys)
-            rows.append(found.select(F.lit(service).alias("service"), F.lit(kind).alias("kind"), "*"))
+            for lo, hi in [*((0, k) for k in SIZES_FIELD), *([(31, 700)] if service == "map" else [])]:
+                box = {"t": (lo, hi)}
+                found = measure.nrmsd(baseline.scan_average(cells, grid, box, over), query.box_average(store, box, over), keys)
+                rows.append(found.select(F.lit(service).alias("service"), F.lit(kind).alias("kind"), F.lit(hi - lo).alias("size"), "*"))
     return measure.union(rows)
 
 

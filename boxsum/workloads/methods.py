@@ -169,7 +169,7 @@ def many_sql(over: str, n: int, some: str = "TRUE") -> str:
     return f"WITH cells AS ({G1.sql}), boxes AS ({boxes_sql(n)}) SELECT box_id{keys}, CAST(sum(sx) AS BIGINT) AS s, CAST(sum(n) AS BIGINT) AS n, CAST(sum(sx) AS DOUBLE) / CAST(any_value({size}) AS DOUBLE) AS avg FROM boxes b JOIN cells c ON {inside} WHERE {some} GROUP BY box_id{keys}"
 
 
-add("m27_many_boxes", lambda s, d: query.box_average_many(store_of(s, d, G1, all_subsets("yxt")), boxes(s, 60), "yxt"), many_sql("yxt", 60))
+add("m27_many_boxes", lambda s, d: query.box_average_many(store_of(s, d, G1, all_subsets("yxt")), boxes(s, 1000), "yxt"), many_sql("yxt", 1000))
 
 # -- upkeep and storage -------------------------------------------------------------------------------------
 

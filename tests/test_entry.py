@@ -11,6 +11,16 @@ SF = "/root/testdata/sf0.001"
 SOME = ["m04_anchor_yx", "m13_box_4corner", "m17_missing_combo", "m28_late_repair", "w10_stride4_modes", "o14_cube_tiles", "o29_packed_slice_sum", "s04_carry", "w21_stream_equals_batch", "u01_packed_cumsum"]
 
 
+def test_experiments_take_all_sizes(spark):
+    field, ship = set(range(80, 721, 80)), set(range(400, 2401, 400))
+    got = {(r.service, r.size) for r in workloads.QUERIES["w05_accuracy_int"](spark, SF).collect()}
+    assert got == {(x, k) for x in ("series", "map") for k in ship}
+    assert {r.size for r in workloads.QUERIES["w01_series_g4"](spark, SF).select("size").distinct().collect()} == field
+    for name in ("w01_series_g4", "w03_map_g4", "w05_accuracy_int_g4"):
+        assert all(f"{k} AS size" in workloads.ORACLE_SQL[name] for k in field)
+    assert {"w02_series_full_g4", "w04_map_full_g1"} <= set(workloads.ORACLE_SQL) and "range(1000)" in workloads.ORACLE_SQL["m27_many_boxes"]
+
+
 def test_entry_and_names(spark):
     assert __spark_entry__.entry(spark).count() > 0
     found, sql = __spark_entry__.queries(), __spark_entry__.oracle_sql()
