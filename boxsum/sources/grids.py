@@ -46,6 +46,12 @@ def hours(c: str, origin: str = "2024-01-01") -> Column:
     return F.floor((F.unix_micros(F.col(c).cast("timestamp")) - F.unix_micros(F.lit(origin).cast("timestamp"))) / 3_600_000_000).cast("int")
 
 
+def inside(c: str, n: int) -> Column:
+    """An id as a place on an axis of n, null if it is null; one outside is an error, as full ranges would leave it out."""
+    place = F.col(c).cast("int")
+    return F.when(F.col(c).isNull() | F.col(c).between(0, n - 1), place).otherwise(F.raise_error(F.concat(F.lit(f"{c} "), F.col(c).cast("string"), F.lit(f" is outside its axis of {n}"))).cast("int"))
+
+
 def cells_from_table(rows: DataFrame, axes: dict[str, Column], value: Column) -> DataFrame:
     """Rows to cells: one row for each point that occurs, its values summed and its rows counted."""
     return rows.groupBy(*(c.cast("int").alias(a) for a, c in axes.items())).agg(F.sum(value).alias("sx"), F.count("*").alias("n"))
@@ -69,12 +75,16 @@ G1 = Grid(GridSpec("ship", (AxisSpec("y", 50, 10), AxisSpec("x", 11, 4), AxisSpe
 G1_MORE = Grid(replace(G1.spec, measures=("sx", "n", "p", "sxx", "sw", "swx")), _ship_more, f"SELECT *, 1 AS p, CAST(sx AS HUGEINT) * sx AS sxx, n AS sw, n * sx AS swx FROM ({_SHIP_SQL.format(more='')})")
 
 
+#: Lengths of the axes that are ids, as the given tables have them.
+USERS, VECTORS, DOCUMENTS, CONVERSATIONS = 1500, 2000, 300_000, 30_000
+
+
 def _activity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cells_from_table(table(spark, sf_dir, "events"), {"u": F.col("user_id"), "t": hours("ts")}, cents("value"))
+    return cells_from_table(table(spark, sf_dir, "events"), {"u": inside("user_id", USERS), "t": hours("ts")}, cents("value"))
 
 
 _HOUR = "CAST(floor((epoch_us(ts) - epoch_us(TIMESTAMP '2024-01-01')) / 3600000000) AS INT) AS t"
-G2 = Grid(GridSpec("activity", (AxisSpec("u", 1500, 25), AxisSpec("t", 720, 24))), _activity, f"SELECT CAST(user_id AS INT) AS u, {_HOUR}, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS sx, count(*) AS n FROM events GROUP BY ALL")
+G2 = Grid(GridSpec("activity", (AxisSpec("u", USERS, 25), AxisSpec("t", 720, 24))), _activity, f"SELECT CAST(user_id AS INT) AS u, {_HOUR}, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS sx, count(*) AS n FROM events GROUP BY ALL")
 
 
 def dictionary(rows: DataFrame, column: str, to: str) -> DataFrame:
@@ -92,12 +102,12 @@ G2B = Grid(GridSpec("kind", (AxisSpec("e", 5, 5), AxisSpec("t", 720, 24))), _kin
 
 
 def _plane(spark: SparkSession, sf_dir: str) -> DataFrame:
-    points = table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("int").alias("r"), F.posexplode("embedding").alias("c", "v"))
+    points = table(spark, sf_dir, "embeddings").select(inside("vec_id", VECTORS).alias("r"), F.posexplode("embedding").alias("c", "v"))
     return points.select("r", "c", F.floor(F.col("v").cast("double") * 4096).cast("long").alias("sx"), F.lit(1).cast("long").alias("n"))
 
 
 _PLANE_SQL = "SELECT CAST(vec_id AS INT) AS r, CAST(c - 1 AS INT) AS c, CAST(floor(CAST(embedding[c] AS DOUBLE) * 4096) AS BIGINT) AS sx, CAST(1 AS BIGINT) AS n FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS c FROM embeddings)"
-G3 = Grid(GridSpec("plane", (AxisSpec("r", 2000, 50), AxisSpec("c", 64, 16))), _plane, _PLANE_SQL)
+G3 = Grid(GridSpec("plane", (AxisSpec("r", VECTORS, 50), AxisSpec("c", 64, 16))), _plane, _PLANE_SQL)
 
 
 def hourly_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -116,7 +126,7 @@ def field(max_r: int | None = None) -> Grid:
 
     where = "" if max_r is None else f" WHERE r < {max_r}"
     sql = f"SELECT r, c, t, sx * k AS sx, CAST(1 AS BIGINT) AS n FROM ({_PLANE_SQL}) CROSS JOIN (SELECT CAST(h AS INT) AS t, coalesce(k, 0) AS k FROM range(720) x(h) LEFT JOIN (SELECT {_HOUR}, count(*) AS k FROM events GROUP BY ALL) e ON e.t = h){where}"
-    return Grid(GridSpec("field", (AxisSpec("r", max_r or 2000, 50), AxisSpec("c", 64, 16), AxisSpec("t", 720, 40))), cells, sql)
+    return Grid(GridSpec("field", (AxisSpec("r", max_r or VECTORS, 50), AxisSpec("c", 64, 16), AxisSpec("t", 720, 40))), cells, sql)
 
 
 def _orders(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -130,12 +140,12 @@ G5 = Grid(GridSpec("orders", (AxisSpec("nation", 25, 5), AxisSpec("t", 2405, 50)
 
 
 def _line(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select(F.col("doc_id").cast("int").alias("d"), F.col("n_chars").cast("long").alias("sx"), F.lit(1).cast("long").alias("n"))
+    docs = table(spark, sf_dir, "documents").select(inside("doc_id", DOCUMENTS).alias("d"), F.col("n_chars").cast("long").alias("sx"), F.lit(1).cast("long").alias("n"))
     labels = table(spark, sf_dir, "labels").select(F.col("doc_id").cast("int").alias("d"), F.col("quality").cast("long").alias("w"))
     return docs.join(labels, "d", "left").select("d", "sx", "n", F.coalesce("w", F.lit(0)).alias("sw"), (F.coalesce("w", F.lit(0)) * F.col("sx")).alias("swx"))
 
 
-G6 = Grid(GridSpec("line", (AxisSpec("d", 300_000, 50),), ("sx", "n", "sw", "swx")), _line, "SELECT CAST(d.doc_id AS INT) AS d, n_chars AS sx, CAST(1 AS BIGINT) AS n, CAST(coalesce(quality, 0) AS BIGINT) AS sw, CAST(coalesce(quality, 0) * n_chars AS BIGINT) AS swx FROM documents d LEFT JOIN labels l ON l.doc_id = d.doc_id")
+G6 = Grid(GridSpec("line", (AxisSpec("d", DOCUMENTS, 50),), ("sx", "n", "sw", "swx")), _line, "SELECT CAST(d.doc_id AS INT) AS d, n_chars AS sx, CAST(1 AS BIGINT) AS n, CAST(coalesce(quality, 0) AS BIGINT) AS sw, CAST(coalesce(quality, 0) * n_chars AS BIGINT) AS swx FROM documents d LEFT JOIN labels l ON l.doc_id = d.doc_id")
 
 
 def _four(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -155,10 +165,10 @@ G8 = Grid(GridSpec("part", (AxisSpec("z", 50, 10), AxisSpec("b", 25, 5))), _part
 
 
 def _talk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cells_from_table(table(spark, sf_dir, "conversations"), {"k": F.col("conv_id"), "turn": F.col("turn")}, F.length("text").cast("long"))
+    return cells_from_table(table(spark, sf_dir, "conversations"), {"k": inside("conv_id", CONVERSATIONS), "turn": F.col("turn")}, F.length("text").cast("long"))
 
 
-G9 = Grid(GridSpec("talk", (AxisSpec("k", 30_000, 20), AxisSpec("turn", 8, 4))), _talk, "SELECT CAST(conv_id AS INT) AS k, CAST(turn AS INT) AS turn, CAST(sum(length(text)) AS BIGINT) AS sx, count(*) AS n FROM conversations GROUP BY ALL")
+G9 = Grid(GridSpec("talk", (AxisSpec("k", CONVERSATIONS, 20), AxisSpec("turn", 8, 4))), _talk, "SELECT CAST(conv_id AS INT) AS k, CAST(turn AS INT) AS turn, CAST(sum(length(text)) AS BIGINT) AS sx, count(*) AS n FROM conversations GROUP BY ALL")
 
 
 def _balance(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -10,7 +10,7 @@ from boxsum.operators import baseline, query
 from boxsum.operators.build import AnchorStore
 from boxsum.plans.box import plan_box
 from boxsum.plans.spec import AnchorSpec
-from boxsum.sources.grids import G1, G1_MORE, G2, G2B, G3, G4, G5, G6, G7, G8, G9, G10
+from boxsum.sources.grids import G1, G1_MORE, G2, G2B, G3, G4, G5, G6, G7, G8, G9, G10, VECTORS, inside
 from boxsum.workloads.cases import add, add_box, all_subsets, anchor_sql, box_sql, store_of
 from boxsum.workloads.methods import _ACCURATE, BOX, LINE, PERIOD, REGION, _points_sql, boxes, example_catalog, many_sql, sweep
 
@@ -61,7 +61,7 @@ add("w05_accuracy_int_g4", *accuracy(G4, "rc", SIZES_FIELD, 2))
 
 def accuracy_float(s, d) -> DataFrame:
     """The same at all sizes, and an unaligned map, on a dense field of doubles, of values kept in single precision, and with anchors kept in single precision."""
-    plane = s.read.parquet(f"{d}/embeddings.parquet").select(F.col("vec_id").cast("int").alias("r"), F.posexplode("embedding").alias("c", "v"))
+    plane = s.read.parquet(f"{d}/embeddings.parquet").select(inside("vec_id", VECTORS).alias("r"), F.posexplode("embedding").alias("c", "v"))
     rows = []
     for kind in ("double", "float", "float_anchors"):
         value = ((F.col("v").cast("double") + 0.5) * (1 + F.sin(F.col("t") / 7.0))).cast("double" if kind == "double" else "float").cast("double")

@@ -1,7 +1,10 @@
+import pytest
+from pyspark.sql import functions as F
+
 from boxsum.operators import query
 from boxsum.operators.build import AnchorStore
 from boxsum.plans.spec import AxisSpec, GridSpec
-from boxsum.sources import io
+from boxsum.sources import grids, io
 from boxsum.workloads.cases import all_subsets
 
 GRID = GridSpec("small", (AxisSpec("a", 6, 2), AxisSpec("t", 4, 2)))
@@ -17,3 +20,17 @@ def test_boxes_and_names_from_text_files(spark, tmp_path):
     store = AnchorStore.build(cells, GRID, all_subsets("at"))
     row = query.box_average_many(store, boxes, "at").first()
     assert (row.s, row.n, row.avg) == (sum(10 * i + j for i in range(1, 5) for j in range(4)), 16, 26.5)
+
+
+@pytest.mark.parametrize(("name", "column", "last"), [("plane", "vec_id", 1999), ("field", "vec_id", 1999), ("activity", "user_id", 1499), ("line", "doc_id", 299_999), ("talk", "conv_id", 29_999)])
+def test_ids_outside_their_axis_are_an_error(spark, tmp_path, name, column, last):
+    tables = {"plane": ["embeddings"], "field": ["embeddings", "events"], "activity": ["events"], "line": ["documents", "labels"], "talk": ["conversations"]}[name]
+    for top in (last, last + 1):
+        for i, table in enumerate(tables):
+            rows = spark.read.parquet(f"/root/testdata/sf0.001/{table}.parquet").limit(1)
+            (rows.withColumn(column, F.lit(top).cast(rows.schema[column].dataType)) if i == 0 else rows).write.parquet(f"{tmp_path}/{top}/{table}.parquet")
+    axis = grids.GRIDS[name].spec.names[0]
+    held = grids.GRIDS[name].cells(spark, f"{tmp_path}/{last}").agg(F.max(axis)).first()[0]
+    assert held == last
+    with pytest.raises(Exception, match="outside its axis"):
+        grids.GRIDS[name].cells(spark, f"{tmp_path}/{last + 1}").agg(F.max(axis)).first()
