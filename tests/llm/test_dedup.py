@@ -3,9 +3,11 @@ import random
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from boxsum.llm import embedding_dedup, simhash
+from boxsum.llm import components as stars
 from boxsum.llm.components import components
 
 
@@ -31,6 +33,25 @@ def test_components_of_a_long_chain_and_a_star(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_no_task_gets_all_links_of_a_hub(spark):
+    n = 100_000
+    hub = spark.range(n).select((F.col("id") + 1).alias("a"), F.lit(0).cast("long").alias("b"))
+    held = spark.conf.get("spark.sql.shuffle.partitions"), spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.shuffle.partitions", "16")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        both = hub.unionByName(hub.select(F.col("b").alias("a"), F.col("a").alias("b"))).repartition(16)
+        with_least = stars._with_least(both, 2 * n // stars.HEAVY_NODES)
+        tasks = [r["count"] for r in with_least.groupBy(F.spark_partition_id()).count().collect()]
+        assert sum(tasks) == 2 * n and max(tasks) < 2 * n / 8
+        assert "Broadcast" in with_least._jdf.queryExecution().executedPlan().toString()
+        got = components(hub.unionByName(spark.createDataFrame([(n + 5, n + 7), (n, n + 1)], "a long, b long")))
+        assert {r["component"]: r["count"] for r in got.groupBy("component").count().collect()} == {0: n + 2, n + 5: 2}
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", held[0])
+        spark.conf.set("spark.sql.adaptive.enabled", held[1])
+
+
 def brute_fingerprint(text):
     words = (text or "").encode().lower().split()
     if not words:
