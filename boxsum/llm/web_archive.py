@@ -25,6 +25,8 @@ from boxsum.llm.shared import blocks, cut, shared_path
 from boxsum.llm.zip_archive import PackageWriter, Record, digest, records
 
 PACKAGE = 16 << 20
+#: Packages that a reading task takes at most, where there are more tasks than cores anyway.
+A_TASK = 8
 
 
 def roles(pages: DataFrame, least: int = 0) -> DataFrame:
@@ -69,7 +71,10 @@ def write_packages(pages: DataFrame, root: str | None = None, id_col: str = "pag
 
 
 def read_packages(packages: DataFrame, with_payload: bool = False) -> DataFrame:
-    """(page_id, url, payload_bytes, payload_digest, record_type, refers_to[, payload]) of every record of the packages (path)."""
+    """(page_id, url, payload_bytes, payload_digest, record_type, refers_to[, payload]) of every record of the packages (path).
+
+    Packages are read in parallel, at most `A_TASK` by a task.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -94,4 +99,8 @@ def read_packages(packages: DataFrame, with_payload: bool = False) -> DataFrame:
         return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=False)], names[: len(rows[0])])
 
     schema = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long" + (", payload binary" if with_payload else "")
-    return packages.select("path").repartition("path").mapInArrow(run, schema)
+    # paths are small rows that stand for large files, so their number is what tasks are dealt by
+    spark = packages.sparkSession
+    n = packages.count()
+    tasks = max(1, min(n, max(-(-n // A_TASK), 4 * spark.sparkContext.defaultParallelism)))
+    return packages.select("path").repartitionByRange(tasks, "path").mapInArrow(run, schema)

@@ -5,6 +5,7 @@ import random
 import zipfile
 
 import pytest
+from pyspark.sql import functions as F
 
 from boxsum.llm import html_extract, web_archive, zip_archive
 from boxsum.llm.zip_archive import ArchiveError, PackageWriter, Record, ZipReader, digest, records, write_zip
@@ -121,6 +122,14 @@ def test_archives_of_a_table(spark, least):
         assert r.payload is None if revisit else bytes(r.payload) == raw
 
 
+def test_packages_are_read_in_parallel(spark):
+    pages = spark.range(40).selectExpr("id as page_id", "'u' as url", "repeat(cast(id as string), 50) as html").repartition(1)
+    packages = web_archive.write_packages(pages, package=500)
+    assert packages.count() > 8
+    got = web_archive.read_packages(packages)
+    assert got.groupBy(F.spark_partition_id()).count().count() >= 6 and got.count() == 40
+
+
 def test_archives_of_no_rows_repeated_rows_and_null_ids(spark):
     schema = "page_id long, url string, html string"
     assert web_archive.read_packages(web_archive.write_packages(spark.createDataFrame([], schema))).count() == 0
