@@ -140,14 +140,48 @@ def test_embeddings_of_an_empty_table(spark):
     assert embedding_dedup.near_duplicates(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")).count() == 0
 
 
-def test_estimates_are_unbiased_and_bounds_hold():
+def pairs_at(cosine, n, d, r):
+    x, y = r.standard_normal((n, d)), r.standard_normal((n, d))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    y -= (x * y).sum(axis=1, keepdims=True) * x
+    y /= np.linalg.norm(y, axis=1, keepdims=True)
+    return x, cosine[:, None] * x + np.sqrt(1 - cosine * cosine)[:, None] * y
+
+
+def test_estimates_are_unbiased_and_their_bounds_hold():
     r = np.random.default_rng(2)
-    x, y = r.standard_normal((400, 64)), r.standard_normal((50, 64))
-    y[:25] = x[:25] + 0.3 * y[:25]
-    _, code, factor = embedding_dedup.quantise(x)
-    turned = embedding_dedup.quantise(y)[0]
-    cosine = (x @ y.T) / np.linalg.norm(x, axis=1)[:, None] / np.linalg.norm(y, axis=1)
-    estimate, upper = embedding_dedup.upper_bounds(code, factor, turned)
-    assert abs((estimate - cosine).mean()) < 0.01 and (upper >= cosine - 1e-5).all()
-    _, tight = embedding_dedup.upper_bounds(code, factor, turned, epsilon=3.0)
-    assert (tight >= cosine).mean() > 0.98 and (upper >= 0.93).mean() < 0.01
+    for d in (16, 64, 100, 768):
+        cosine = r.uniform(-0.9, 0.99, 4000)
+        x, y = pairs_at(cosine, 4000, d, r)
+        code, factor = embedding_dedup.quantise(x)
+        estimate = embedding_dedup.estimates(code, factor, embedding_dedup.turn(y))
+        assert abs((estimate - cosine).mean()) < 0.01
+        x, y = pairs_at(np.full(4000, 0.93), 4000, d, r)
+        code, factor = embedding_dedup.quantise(x)
+        estimate = embedding_dedup.estimates(code, factor, embedding_dedup.turn(y))
+        differ = np.bitwise_count(code ^ embedding_dedup.quantise(y)[0]).sum(axis=1)
+        for epsilon in (2.0, 3.0):  # the share that falls out is at most what the confidence allows, and not nothing
+            out = (estimate < embedding_dedup.least_estimates(factor, d, 0.93, epsilon)).mean()
+            assert out <= np.exp(-epsilon**2 / 2) and (differ > embedding_dedup.most_bits(d, 0.93, epsilon)).mean() < np.exp(-epsilon**2 / 2)
+        assert (estimate < embedding_dedup.least_estimates(factor, d, 0.93, 1.0)).mean() > 0.01
+
+
+def test_recall_and_what_each_test_leaves():
+    r = np.random.default_rng(4)
+    x, y = pairs_at(np.full(20_000, 0.9301), 20_000, 64, r)
+    code, factor = embedding_dedup.quantise(x)
+    codes = embedding_dedup.quantise(y)[0]
+    differ = np.bitwise_count(code ^ codes).sum(axis=1)
+    estimate = embedding_dedup.estimates(code, factor, embedding_dedup.turn(y))
+    assert (differ <= embedding_dedup.most_bits(64, 0.93, embedding_dedup.EPSILON)).all()  # recall 1 of 20,000
+    assert (estimate >= embedding_dedup.least_estimates(factor, 64, 0.93, embedding_dedup.EPSILON)).all()
+    x = r.standard_normal((1500, 64))
+    x[::3] = x[:1] + 0.4 * x[::3]
+    code, factor = embedding_dedup.quantise(x)
+    for epsilon in (6.0, 4.0):
+        a, b, left = embedding_dedup.linked(x, None, code, factor, None, 0.93, epsilon)
+        unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+        i, j = np.nonzero(np.triu(unit @ unit.T >= 0.93, 1))
+        assert set(zip(a.tolist(), b.tolist(), strict=True)) == set(zip(i.tolist(), j.tolist(), strict=True))
+        # bits rule out most pairs, the confidence bound of the estimates most of the others
+        assert left["pairs"] == 1500 * 1499 // 2 and left["bits"] < 0.2 * left["pairs"] and left["estimate"] < 0.9 * left["bits"] and left["exact"] == len(i)
