@@ -112,6 +112,53 @@ def test_simhash_of_empty_table_and_extra_columns(spark):
     assert sorted(x.doc_id or -1 for x in simhash.drop_near_duplicates(docs).collect()) == [-1, 1]
 
 
+def test_tiles_far_apart_in_population_are_not_dealt(spark):
+    # one bucket of 3,000 rows with population counts 0..59: tiles of 100 rows hold two counts each
+    dealt = spark.range(3000).select(F.lit(1).cast("long").alias("bucket"), F.expr("int(id % 60)").alias("pop"), F.col("id").alias("rep"), F.col("id").alias("fp"))
+    tiled = dealt.join(simhash.tiles_of(dealt, 100), "bucket")
+    tasks = simhash._tasks(tiled, 3, ["fp"])
+    held = {(r.i, r.j) for r in tasks.select("i", "j").distinct().collect()}
+    assert {i for i, _ in held} == set(range(30)) and all(j - i <= 2 for i, j in held) and len(held) < 90 < 30 * 31 / 2
+    rows = tasks.groupBy("i", "j").agg(F.count("*").alias("n")).collect()
+    assert max(r.n for r in rows) <= 400
+
+
+def shingle_sets(texts, width=5):
+    out = []
+    for t in texts:
+        w = (t or "").lower().split()
+        out.append({tuple(w[i : i + width]) for i in range(max(1, len(w) - width + 1))} if w else set())
+    return out
+
+
+def test_similar_texts_are_grouped_and_others_left_alone(spark):
+    r = random.Random(11)
+    words = [f"w{i}" for i in range(500)]
+    texts = [None, "", "  ", "one", "ONE", "a b c d e", "a b c d e f"]
+    for _ in range(60):
+        base = [r.choice(words) for _ in range(r.randint(20, 400))]
+        texts.append(" ".join(base))
+        for share in (0.0, 0.01, 0.02, 0.1, 0.5):
+            copy = [r.choice(words) if r.random() < share else w for w in base]
+            texts.append(" ".join(copy))
+    docs = spark.createDataFrame([(i, t, "x", 1) for i, t in enumerate(texts)], "doc_id long, text string, fp string, size int").repartition(4)
+    got = {x.doc_id: x.component_id for x in simhash.similar_groups(docs, tile=16).collect()}
+    sets = shingle_sets(texts)
+    score = lambda i, j: len(sets[i] & sets[j]) / len(sets[i] | sets[j]) if sets[i] | sets[j] else 1.0
+    pairs = [(i, j, score(i, j)) for i in range(len(texts)) for j in range(i)]
+    close = [(i, j) for i, j, s in pairs if s >= 0.8]
+    assert sum(got[i] == got[j] for i, j in close) >= 0.97 * len(close) and len(close) > 150
+    assert all(got[i] == got[j] for i, j, s in pairs if s >= 0.9)
+    # nothing is linked but over pairs that are nearly as similar
+    root = least_reachable(range(len(texts)), [(i, j) for i, j, s in pairs if s >= 0.68])
+    assert all(root[i] == root[got[i]] for i in got)
+    assert got[0] == got[1] == got[2] == 0 and got[3] == got[4] == 3 and got[5] != got[6]
+    assert {x.doc_id for x in simhash.drop_similar(docs).collect()} == {i for i, c in {x.doc_id: x.component_id for x in simhash.similar_groups(docs).collect()}.items() if i == c}
+    assert simhash.drop_similar(docs.limit(0)).count() == 0
+    odd = docs.where("doc_id < 3").withColumn("of", F.lit(1)).withColumn("component_id", F.lit(2)).withColumn("__gone", F.lit(3))
+    assert simhash.drop_similar(odd).columns == odd.columns and simhash.drop_near_duplicates(odd).count() == 1
+
+
 def brute_links(rows):
     def sound(x, label):
         return label is not None and x is not None and all(c is not None and np.isfinite(c) for c in x) and any(x)
