@@ -1,14 +1,14 @@
 """Quality classifier by co-training of two views.
 
 View one reads the text alone (shares of character classes, word statistics, repetition, compressibility over
-the whole text); view two reads the metadata alone (source, language, recorded length). Both are logistic
+the whole text); view two reads the metadata alone (source, language, recorded length, also as bins). Both are logistic
 models fitted on labelled rows. In each round each view labels the unlabelled rows that it is most sure of, by
 its calibrated probability, and hands them to the other; then both are fitted anew. At the end each view is
 calibrated on labelled rows that no fit has seen, and the calibrated log-odds, each relative to the base rate,
 are added up. A view that tells nothing is calibrated to the base rate and so neither labels nor decides.
 
 Fitting uses bounded samples, `labelled` and `unlabelled` rows, chosen by a hash of the id; features leave the
-executors, texts don't. Scores are for all rows and whole texts. Null or empty texts have score 0. Without both
+executors, texts don't. Of rows that repeat an id, the one with the least features stands for it. Scores are for all rows and whole texts. Null or empty texts have score 0. Without both
 classes among the labels every other row gets score 1.
 """
 
@@ -29,6 +29,7 @@ from boxsum.llm.shared import blocks
 LABELLED, UNLABELLED = 4000, 4000
 ROUNDS, SURE, GIVEN, KEEP = 4, 0.97, 300, 0.5
 BUCKETS = 64  # of hashed metadata values
+LENGTHS = 24  # bins of a recorded length, each from a power of two to the next
 
 _CLASSES = np.zeros((256, 8))
 for _b in range(256):
@@ -56,9 +57,10 @@ N_TEXT = len(text_features("a"))
 
 
 def meta_features(source: str | None, lang: str | None, size: int | None) -> list[float]:
-    out = [0.0] * (2 * BUCKETS)
+    out = [0.0] * (2 * BUCKETS + LENGTHS)
     out[zlib.crc32(str(source).encode()) % BUCKETS] = 1.0
     out[BUCKETS + zlib.crc32(str(lang).encode()) % BUCKETS] = 1.0
+    out[2 * BUCKETS + min(LENGTHS - 1, max(0, size or 0).bit_length())] = 1.0
     return [*out, np.log1p(max(0, size or 0)), float(size is None)]
 
 
@@ -190,8 +192,9 @@ def train(docs: DataFrame, labels: DataFrame, label_col: str = "quality", labell
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("y"), both], ["id", "y", "x"])
 
     kind = dict(rows.dtypes)["id"]
-    got = rows.join(F.broadcast(picked), "id").select("id", "text", "source", "lang", "n_chars", "y").mapInArrow(run, f"id {kind}, y double, x array<double>").toPandas()
-    got = got.sort_values("id", kind="stable").drop_duplicates("id")
+    featured = rows.join(F.broadcast(picked), "id").select("id", "text", "source", "lang", "n_chars", "y").mapInArrow(run, f"id {kind}, y double, x array<double>")
+    # one row an id leaves the executors: of several, the one with the least features
+    got = featured.groupBy("id").agg(F.min("y").alias("y"), F.min("x").alias("x")).toPandas().sort_values("id", kind="stable")
     x, y = np.stack(got["x"]) if len(got) else np.zeros((0, N_TEXT + N_META)), got["y"].to_numpy(float)
     text, meta, sure = x[:, :N_TEXT], x[:, N_TEXT:], y >= 0
     return co_train(text[sure], meta[sure], (y[sure] >= 0.5).astype(float), text[~sure], meta[~sure], **options)

@@ -9,6 +9,7 @@ import corpus_pipeline
 import public_tokenizers
 import pytest
 import tiktoken
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from boxsum.llm import bpe, cutting_stock, language_id, media, packing, quality, secret_scan
@@ -365,3 +366,55 @@ def test_calibrated_views_and_an_empty_second_view():
     model = quality.co_train(text[:400], np.ones((400, 2)), y[:400], text[400:], np.ones((200, 2)))
     a, b, both = model.score(text[400:], np.ones((200, 2)))
     assert abs(b.mean() - 0.8) < 0.07 and ((both > 0.5) == (y[400:] > 0.5)).mean() > 0.97 and model.handed[1] == 0
+
+
+def test_both_views_hand_over_labels_and_gain():
+    r = np.random.default_rng(3)
+    y = (r.random(3000) < 0.6).astype(float)
+    text = np.column_stack([y * 2 + r.standard_normal(3000) * 0.7, r.standard_normal(3000)])
+    meta = np.column_stack([y * 2 + r.standard_normal(3000) * 0.7, r.standard_normal(3000)])
+    fit = slice(0, 80)
+    both = quality.co_train(text[fit], meta[fit], y[fit], text[80:], meta[80:])
+    assert min(both.handed) > 20
+    a, b, all_ = both.score(text[80:], meta[80:])
+    right = lambda p: ((p > 0.5) == (y[80:] > 0.5)).mean()
+    assert right(all_) > max(right(a), right(b)) and right(all_) > 0.93
+
+
+def test_scores_against_a_plain_computation(spark):
+    docs = [(i, t, lang, source, size) for (i, t, *_), lang, source, size in zip(rows([*TEXTS[:8], "Plain words. Plain words!\n\nPLAIN ### 12", "x" * 5000]), ["en", None] * 5, ["a", "b", None, "c", "d"] * 2, [None, 0, 1, 9, 99, 1 << 30, 5, 7, 3, 5000], strict=True)]
+    data = quality_rows(200)
+    frame = spark.createDataFrame([*docs, *((x[0] + 1000, *x[1:5]) for x in data)], "doc_id long, text string, lang string, source string, n_chars long")
+    repeated = frame.unionByName(frame.where("doc_id = 1003").withColumn("text", F.lit("Other text of this id.")))
+    labels = spark.createDataFrame([(x[0] + 1000, x[5]) for x in data[:150]], "doc_id long, quality int")
+    model = quality.train(frame, labels)
+    again = quality.train(repeated.repartition(7), labels), quality.train(repeated.repartition(2), labels)
+    assert (again[0].text.model.weights == again[1].text.model.weights).all()
+
+    def odds(view, features):
+        total = view.model.weights[-1]
+        for x, mean, scale, w in zip(features, view.model.mean, view.model.scale, view.model.weights, strict=False):
+            total += max(-10.0, min(10.0, (x - mean) / scale)) * w
+        return view.slope * total + view.shift
+
+    def words_of(t):
+        return t.split()
+
+    for r in quality.score(frame, model).where("doc_id < 1000").collect():
+        _, t, lang, source, size = docs[r.doc_id]
+        if not t or not t.strip():
+            assert (r.text_score, r.meta_score, r.score, r.kept) == (0, 0, 0, False)
+            continue
+        raw = t.encode()
+        kinds = [sum(97 <= c <= 122 for c in raw), sum(65 <= c <= 90 for c in raw), sum(48 <= c <= 57 for c in raw), raw.count(b" "), raw.count(b"\n"), sum(c in b".,;:'\"?-()" for c in raw)]
+        kinds += [sum(c < 128 for c in raw) - sum(kinds), sum(c >= 128 for c in raw)]
+        w, k = words_of(t), max(1, len(words_of(t)))
+        lines = [x for x in t.split("\n") if x]
+        text = [*(x / len(raw) for x in kinds), sum(a == b for a, b in zip(w, w[1:], strict=False)) / k, sum(not x[-1].isalnum() and x[-1] not in ".,;:'\"?-)" for x in w) / k, sum(x.isupper() for x in w) / k, len(zlib.compress(raw, 1)) / len(raw), np.log(1 + k), len(set(w)) / k**0.8, sum(map(len, w)) / k, 1 - len(set(lines)) / max(1, len(lines)), np.log(1 + k / max(1, len(lines)))]
+        meta = [0.0] * (2 * 64 + 24 + 2)
+        meta[zlib.crc32(str(source).encode()) % 64] = meta[64 + zlib.crc32(str(lang).encode()) % 64] = 1.0
+        meta[128 + (0 if not size else min(23, int(np.log2(size)) + 1))] = 1.0
+        meta[152:] = [np.log(1 + (size or 0)), float(size is None)]
+        a, b = odds(model.text, text), odds(model.meta, meta)
+        want = [1 / (1 + np.exp(-max(-30.0, min(30.0, v)))) for v in (a, b, a + b - model.base)]
+        assert [r.text_score, r.meta_score, r.score] == pytest.approx(want, abs=1e-9) and r.kept == (r.score >= 0.5)
