@@ -1,35 +1,42 @@
 """Main text of HTML pages by a minimum cut over their blocks.
 
-A page becomes a list of text blocks with the elements that hold them. A linear classifier over a block's own
-features (containers by tag, role, class and id; share of link text; length; punctuation; heading) gives the
-cost of calling it content or boilerplate; these are capacities from the source and to the sink. Blocks that
-are next to each other, and blocks next to each other under one parent, are joined by smoothness edges, weaker
-across sections. The minimum cut labels all blocks at once. Blocks whose own cost outweighs all their edges keep
-their side in some minimum cut, so they are settled first and their edges folded into their neighbours' costs;
-maximum flow decides what is left.
-
-White space inside a block, line breaks by tag included, becomes one space. Null, empty and text-free pages have
-an empty text. Tags that are never closed end with the page or with the element around them.
+A page becomes a list of text blocks. A linear classifier over a block's features (length, end, share of link
+text, heading, and the tags, roles and names of the elements around it) gives the cost of calling it content or
+boilerplate; these are capacities from the source and to the sink. All are finite and fitted (`fit`), so that no
+single feature decides. Blocks that are next to each other are joined by smoothness edges, the stronger the
+nearer they are in the tree, and so are the next two children of one element; edges that enter or leave a section
+(what stands for or against content around the one and not the other) are weak. The minimum cut labels all blocks
+at once. Blocks whose own cost outweighs all their edges keep their side in some minimum cut, so they are settled
+first and their edges folded into their neighbours' costs; maximum flow decides what is left.
+
+Scripts, styles and the like, forms and hidden elements are no blocks. White space inside a block, line breaks by
+tag included, becomes one space. Null, empty and text-free pages have an empty text. Tags that are never closed end
+with the page or with the element around them; a tag whose quotes don't close ends at the next bracket, and what is
+no tag at all is text. Time is linear in the length of a page, however deep it is nested.
 """
 
 from __future__ import annotations
 
 import html as entities
 import re
-from collections import deque
-from collections.abc import Iterator
+from collections import Counter, deque
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from boxsum.llm.shared import blocks
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?/][^>]*>", re.S)
-ATTRIBUTE = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
+NAME = re.compile(r"(/?)([a-zA-Z][^\s/>]*)")
+#: What follows a tag's name up to its bracket; quotes count after an equals sign only.
+INSIDE = re.compile(r"(?:=\s*+(?:\"[^\"]*+\"|'[^']*+')|[^>])*+")
+ATTRIBUTE = re.compile(r"([^\s=/\"'>]++)(?:\s*+=\s*+(?:\"([^\"]*+)\"|'([^']*+)'|([^\s\"'>]++)))?")
 SPACE = re.compile(r"\s+")
 KEYWORD = re.compile(r"[a-z]+")
+UNSEEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden")
 
 # Element and attribute vocabularies.
 RAW = {"script", "style", "noscript", "template", "iframe", "svg", "math", "object", "canvas", "audio", "video", "head", "textarea", "title"}
@@ -37,85 +44,100 @@ VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "met
 INLINE = {"a", "abbr", "acronym", "b", "bdi", "bdo", "big", "cite", "code", "data", "del", "dfn", "em", "font", "i", "ins", "kbd", "label", "mark", "q", "s", "samp", "small", "span", "strike", "strong", "sub", "sup", "time", "tt", "u", "var", "ruby", "rt", "rp"}
 ENDS_P = {"address", "article", "aside", "blockquote", "center", "details", "dir", "div", "dl", "fieldset", "figcaption", "figure", "footer", "form", "h1", "h2", "h3", "h4", "h5", "h6", "header", "hr", "main", "menu", "nav", "ol", "p", "pre", "section", "table", "ul"}
 OWN_END = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"tr", "table"}, "th": {"tr", "table"}, "option": {"select"}}
-NEVER = {"nav", "footer", "aside", "form", "button", "select", "menu", "dialog", "fieldset"}
+SAME_END = {"dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "td": {"td", "th"}, "th": {"td", "th"}}
+FORMS = {"form", "button", "select", "fieldset"}
+AROUND = {"nav", "footer", "aside", "menu", "dialog"}
 ROLES = {"navigation", "banner", "contentinfo", "complementary", "search", "form", "dialog", "alert", "alertdialog", "menu", "menubar", "toolbar"}
 WORDS = {"ad", "ads", "advert", "adverts", "advertisement", "advertising", "adsense", "banner", "sponsor", "sponsored", "promo", "promotion", "cookie", "cookies", "consent", "gdpr", "notice", "notification", "alert", "popup", "modal", "overlay", "newsletter", "subscribe", "signup", "login", "nav", "navbar", "navigation", "menu", "breadcrumb", "breadcrumbs", "sidebar", "footer", "masthead", "comment", "comments", "disqus", "respond", "replies", "reply", "social", "share", "sharing", "related", "recommended", "widget", "toolbar", "pagination", "pager", "tags", "copyright", "disclaimer", "skip", "search", "form"}
 GOOD = {"article", "content", "main", "post", "entry", "story", "body", "text"}
 HEADINGS = {"h1", "h2", "h3", "h4", "h5", "h6"}
+CELLS = {"li", "td", "th", "dt", "dd"}
+ENDS = tuple(".!?:\"'”»…。！？")
 
-# Weights of the classifier, in tenths of a nat; positive for content.
-WEIGHTS = {"bias": -6, "article": 30, "main": 20, "good_name": 12, "header": -18, "title_like": 14, "links": -40, "long": 18, "middle": 8, "short": -6, "sentence": 8, "list": -4, "bare": -4}
-NEXT, SIBLING, ACROSS = 7, 5, 2
-SURE = 10**6
+# What is around a block: a bit for each.
+IN_ARTICLE, IN_MAIN, GOOD_NAME, IN_HEADER, AROUND_TAG, AROUND_NAME, UNSHOWN, IN_FORM = 1, 2, 4, 8, 16, 32, 64, 128
+OUT = UNSHOWN | IN_FORM
+SECTION = IN_ARTICLE | IN_MAIN | IN_HEADER | AROUND_TAG | AROUND_NAME
 
+# Capacities in tenths of a nat. Weights of the classifier, positive for content, as `fit` finds them on the labelled
+# pages of the tests; edges by hand.
+WEIGHTS = {"bias": 11, "article": 56, "main": 54, "good_name": 33, "header": -44, "heading": 35, "links": -63, "long": 31, "middle": 18, "short": -22, "sentence": 1, "cell": -4, "bare": 0, "around_tag": -61, "around_name": -80, "mark": -34}
+NEXT, SIBLING, ACROSS = 20, 10, 2
 
-@dataclass
+
+@dataclass(slots=True)
 class Block:
     text: str
     tag: str
-    path: tuple[int, ...]  # numbers of the elements around it, outermost first
-    names: tuple[str, ...]  # and their tags
+    around: int  # bits of what is around it
+    parent: int  # number of the element around its own
     linked: int  # characters inside links
-    barred: bool  # in an element that never holds content
-    good: bool  # in an element with a name for content
+    near: int  # steps in the tree from the block before, up and down
 
 
-@dataclass
+@dataclass(slots=True)
 class _Open:
     tag: str
-    number: int
-    barred: bool
-    good: bool
+    around: int
+    holder: str  # tag of the block element it is or is in
     block: bool
+    number: int  # of the block element it is or is in
+    parent: int  # of the block element around that
+    depth: int  # block elements around, itself included
 
 
-def _tell(tag: str, attributes: str) -> tuple[bool, bool]:
-    """Whether an element bars its text from the content, and whether its name speaks for content."""
-    if tag in NEVER:
-        return True, False
+def _tell(tag: str, attributes: str) -> int:
+    """The bits that an element's tag and attributes set for what is inside."""
+    told = IN_FORM if tag in FORMS else AROUND_TAG if tag in AROUND else IN_ARTICLE if tag == "article" else IN_MAIN if tag == "main" else IN_HEADER if tag == "header" else 0
     if not attributes or "=" not in attributes and "hidden" not in attributes:
-        return False, False
-    barred = good = False
+        return told
     for m in ATTRIBUTE.finditer(attributes):
         name, value = m[1].lower(), (m[2] or m[3] or m[4] or "").lower()
         if name in ("class", "id", "data-component", "aria-label"):
             before = ""
             for word in KEYWORD.findall(value):
-                # "has-sidebar" tells of another element; whole pages are never barred by a name
-                barred |= word in WORDS and before not in ("has", "no", "with", "without") and tag not in ("html", "body", "article", "main")
-                good |= word in GOOD
+                # "has-sidebar" tells of another element; whole pages and articles are never told against by a name
+                if word in WORDS and before not in ("has", "no", "with", "without") and tag not in ("html", "body", "article", "main"):
+                    told |= AROUND_NAME
+                if word in GOOD:
+                    told |= GOOD_NAME
                 before = word
         elif name == "role":
-            barred |= value in ROLES
-            good |= value in ("main", "article")
-        elif name == "hidden" or name == "aria-hidden" and value == "true" or name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value):
-            barred = True
-    return barred, good
+            told |= AROUND_TAG if value in ROLES else IN_MAIN if value == "main" else IN_ARTICLE if value == "article" else 0
+        elif name == "hidden" or name == "aria-hidden" and value == "true" or name == "style" and UNSEEN.search(value):
+            told |= UNSHOWN
+    return told
 
 
 def blocks_of(page: str) -> list[Block]:
     """The text blocks of a page in their order."""
     out: list[Block] = []
-    stack = [_Open("", 0, False, False, True)]
+    stack = [_Open("", 0, "", True, 0, 0, 0)]
+    opened: Counter[str] = Counter()
     parts: list[str] = []
-    linked = number = in_link = 0
-    at, size = 0, len(page)
+    linked = number = in_link = low = last = 0
+    at, size, bracket = 0, len(page), 0
 
     def flush() -> None:
-        nonlocal linked
+        nonlocal linked, low, last
         if parts:
             text = SPACE.sub(" ", "".join(parts)).strip()
             parts.clear()
-            if text:
-                held = [o for o in stack if o.block]
-                top = held[-1]
-                out.append(Block(text, top.tag, tuple(o.number for o in held), tuple(o.tag for o in held), linked, stack[-1].barred, stack[-1].good))
+            top = stack[-1]
+            if text and not top.around & OUT:
+                low = min(low, top.depth)
+                out.append(Block(text, top.holder, top.around, top.parent, linked, last + top.depth - 2 * low))
+                low = last = top.depth
         linked = 0
 
     def close(to: int) -> None:
-        if any(o.block or o.barred != stack[to - 1].barred for o in stack[to:]):
+        nonlocal low
+        if any(o.block or o.around != stack[to - 1].around for o in stack[to:]):
             flush()
+        for o in stack[to:]:
+            opened[o.tag] -= 1
         del stack[to:]
+        low = min(low, stack[-1].depth)
 
     def say(text: str) -> None:
         nonlocal linked
@@ -126,20 +148,44 @@ def blocks_of(page: str) -> list[Block]:
                 linked += len(text.strip())
 
     while at < size:
-        m = TOKEN.search(page, at)
-        if m is None:
+        start = page.find("<", at)
+        if start < 0:
             say(page[at:])
             break
-        say(page[at : m.start()])
-        at = m.end()
-        if m[2] is None:
+        if bracket <= start:
+            bracket = page.find(">", start)
+            if bracket < 0:  # no tag ends any more: the rest is text, but for a comment that is still open
+                end = page.find("<!--", at)
+                say(page[at : end if end >= 0 else size])
+                break
+        say(page[at:start])
+        follows = page[start + 1 : start + 2]
+        if follows in ("!", "?"):
+            if page.startswith("<!--", start):
+                end = page.find("-->", start + 4)
+                at = end + 3 if end >= 0 else size
+            else:
+                at = bracket + 1
             continue
-        tag, closing = m[2].lower(), bool(m[1])
+        m = NAME.match(page, start + 1)
+        if m is None:
+            if follows == "/":
+                at = bracket + 1
+            else:
+                parts.append("<")
+                at = start + 1
+            continue
+        end = INSIDE.match(page, m.end()).end()
+        end = end if end < size else bracket
+        tag, closing, attributes = m[2].lower(), bool(m[1]), page[m.end() : end]
+        at = end + 1
         if closing:
             if tag == "a":
                 in_link = max(0, in_link - 1)
-            if tag == "p" and not any(o.tag == "p" for o in stack):
-                flush()
+            if not opened[tag]:
+                if tag == "p":
+                    flush()
+                continue
             for k in range(len(stack) - 1, 0, -1):
                 if stack[k].tag == tag:
                     close(k)
@@ -148,11 +194,12 @@ def blocks_of(page: str) -> list[Block]:
                     break  # an inline end tag doesn't close blocks
             continue
         if tag in RAW:
-            if not m[3].endswith("/"):
+            if not attributes.endswith("/"):
                 # a head without an end tag ends at the body
-                end = re.compile(rf"</{re.escape(tag)}\s*>" + (r"|(?=<body\b)" if tag == "head" else ""), re.I).search(page, at)
-                at = end.end() if end else size
-            flush() if tag not in ("svg", "math", "noscript", "script", "template") else None
+                found = re.compile(rf"</{re.escape(tag)}\s*+>" + (r"|(?=<body\b)" if tag == "head" else ""), re.I).search(page, at)
+                at = found.end() if found else size
+            if tag not in ("svg", "math", "noscript", "script", "template"):
+                flush()
             continue
         if tag == "br":
             parts.append(" ")
@@ -163,7 +210,7 @@ def blocks_of(page: str) -> list[Block]:
             continue
         inline = tag in INLINE
         if not inline:
-            if tag in ENDS_P:
+            if tag in ENDS_P and opened["p"]:
                 for k in range(len(stack) - 1, 0, -1):
                     if stack[k].tag == "p":
                         close(k)
@@ -171,53 +218,80 @@ def blocks_of(page: str) -> list[Block]:
                     if stack[k].block and stack[k].tag not in HEADINGS:
                         break
             if tag in OWN_END:
-                for k in range(len(stack) - 1, 0, -1):
-                    if stack[k].tag == tag or tag in ("dt", "dd") and stack[k].tag in ("dt", "dd") or tag in ("td", "th") and stack[k].tag in ("td", "th"):
-                        close(k)
-                        break
-                    if stack[k].tag in OWN_END[tag]:
-                        break
+                ends = SAME_END.get(tag, {tag})
+                if any(opened[x] for x in ends):
+                    for k in range(len(stack) - 1, 0, -1):
+                        if stack[k].tag in ends:
+                            close(k)
+                            break
+                        if stack[k].tag in OWN_END[tag]:
+                            break
             flush()
             in_link = 0 if tag in ("article", "main", "body") else in_link
         if tag == "a":
             in_link = 1
-        barred, good = _tell(tag, m[3])
         top = stack[-1]
-        if inline and barred and not top.barred:
+        around = top.around | _tell(tag, attributes)
+        if tag in ("article", "main"):
+            around &= ~IN_FORM  # of a form around a whole page
+        if inline and around != top.around:
             flush()
-        number += 1
-        if not m[3].endswith("/") or inline is False:
-            stack.append(_Open(tag, number, top.barred or barred, top.good or good, not inline))
+        if not inline:
+            number += 1
+            stack.append(_Open(tag, around, tag, True, number, top.number, top.depth + 1))
+            opened[tag] += 1
+        elif not attributes.endswith("/"):
+            stack.append(_Open(tag, around, top.holder, False, top.number, top.parent, top.depth))
+            opened[tag] += 1
     flush()
     return out
 
 
-def score(b: Block) -> int:
-    """Tenths of a nat for content; out of reach where an element bars it."""
-    if b.barred:
-        return -SURE
-    w, n = WEIGHTS, len(b.text)
-    words = b.text.count(" ") + 1
-    total = w["bias"]
-    if "article" in b.names:
-        total += w["article"]
-    if "main" in b.names:
-        total += w["main"]
-    if b.good:
-        total += w["good_name"]
-    if "header" in b.names:
-        total += w["header"] if b.tag not in HEADINGS or "article" not in b.names and "main" not in b.names else 0
-    if b.tag in HEADINGS:
-        total += w["title_like"]
-    total += round(w["links"] * min(1.0, b.linked / max(1, n)))
-    total += w["long"] if words >= 25 else w["middle"] if words >= 10 else w["short"] if words < 4 else 0
-    if b.text[-1] in ".!?:\"'”»…。！？":
-        total += w["sentence"]
-    if b.tag in ("li", "td", "th"):
-        total += w["list"]
+def features(b: Block) -> dict[str, float]:
+    """What the classifier looks at."""
+    n, words = len(b.text), b.text.count(" ") + 1
+    out = {"bias": 1.0, "links": min(1.0, b.linked / max(1, n)), "long" if words >= 25 else "middle" if words >= 8 else "short" if words < 4 else "some": 1.0}
+    against = b.around & (AROUND_TAG | AROUND_NAME)
+    for name, bit in (("article", IN_ARTICLE), ("main", IN_MAIN), ("good_name", GOOD_NAME), ("around_tag", AROUND_TAG), ("around_name", AROUND_NAME)):
+        if b.around & bit and (not against or bit & against):  # what an article holds apart is not spoken for by it
+            out[name] = 1.0
+    heading = b.tag in HEADINGS
+    if b.around & IN_HEADER and not (heading and b.around & (IN_ARTICLE | IN_MAIN)):
+        out["header"] = 1.0
+    if heading:
+        out["heading"] = 1.0
+    if b.text.endswith(ENDS):
+        out["sentence"] = 1.0
+    if b.tag in CELLS:
+        out["cell"] = 1.0
     if b.tag in ("", "html", "body"):
-        total += w["bare"]
-    return total
+        out["bare"] = 1.0
+    if b.text[0] in "©®™«»‹›|•·":
+        out["mark"] = 1.0
+    return out
+
+
+def score(b: Block, weights: dict[str, float] | None = None) -> int:
+    """Tenths of a nat for content."""
+    weights = WEIGHTS if weights is None else weights
+    return round(sum(weights.get(name, 0) * x for name, x in features(b).items()))
+
+
+def fit(labelled: Iterable[tuple[Block, bool]], ridge: float = 1.0, most: int = 80) -> dict[str, int]:
+    """Weights for blocks with their labels, by logistic regression; in tenths of a nat, `most` at most."""
+    rows = [(features(b), y) for b, y in labelled]
+    names = [name for name in WEIGHTS if any(name in x for x, _ in rows)]
+    x = np.array([[f.get(name, 0.0) for name in names] for f, _ in rows])
+    y = np.array([float(good) for _, good in rows])
+    share = np.where(y > 0, 0.5 / max(y.mean(), 1e-9), 0.5 / max(1 - y.mean(), 1e-9))  # both classes count the same
+    w, penalty = np.zeros(len(names)), np.array([1e-3 if name == "bias" else ridge for name in names])
+    for _ in range(50):
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+        step = np.linalg.solve((x.T * (share * np.maximum(p * (1 - p), 1e-6))) @ x + np.diag(penalty), x.T @ (share * (y - p)) - penalty * w)
+        w = w + step * min(1.0, 2 / max(1e-9, np.abs(step).max()))
+        if np.abs(step).max() < 1e-8:
+            break
+    return {name: int(np.clip(round(10 * v), -most, most)) for name, v in zip(names, w, strict=True)}
 
 
 @dataclass
@@ -318,25 +392,25 @@ def _max_flow(nodes: list[int], costs: list[int], around: list[dict[int, int]])
             a = to[e]
 
 
-def graph(found: list[Block]) -> Cut:
-    cut = Cut([score(b) for b in found])
+def graph(found: list[Block], weights: dict[str, float] | None = None) -> Cut:
+    """The costs and edges of a page's blocks."""
+    cut = Cut([score(b, weights) for b in found])
     last_child: dict[int, int] = {}
     for i, b in enumerate(found):
         if i:
-            a = found[i - 1]
-            same = a.path[:-1] == b.path[:-1] or a.path == b.path[: len(a.path)] or b.path == a.path[: len(b.path)]
-            cut.join(i - 1, i, NEXT if same else ACROSS)
-        parent = b.path[-2] if len(b.path) > 1 else 0
-        if parent in last_child:
-            cut.join(last_child[parent], i, SIBLING)
-        last_child[parent] = i
+            same = not (found[i - 1].around ^ b.around) & SECTION
+            cut.join(i - 1, i, max(ACROSS, 2 * NEXT // max(2, b.near)) if same else ACROSS)
+        before = last_child.get(b.parent)
+        if before is not None and not (found[before].around ^ b.around) & SECTION:
+            cut.join(before, i, SIBLING)
+        last_child[b.parent] = i
     return cut
 
 
-def extract(page: str | None) -> str:
+def extract(page: str | None, weights: dict[str, float] | None = None) -> str:
     """The main text of a page, its blocks joined by newlines."""
     found = blocks_of(page or "")
-    return "\n".join(b.text for b, content in zip(found, graph(found).sides(), strict=True) if content)
+    return "\n".join(b.text for b, content in zip(found, graph(found, weights).sides(), strict=True) if content)
 
 
 def main_text(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", keep: tuple[str, ...] = ("url",)) -> DataFrame:

@@ -2,12 +2,14 @@ import base64
 import hashlib
 import io
 import random
+import time
 import zipfile
 
 import pytest
 from pyspark.sql import functions as F
 
 from boxsum.llm import html_extract, web_archive, zip_archive
+from tests.llm import labelled_pages
 from boxsum.llm.zip_archive import ArchiveError, PackageWriter, Record, ZipReader, digest, records, write_zip
 
 PAGE = """<!DOCTYPE html><html><head><title>T</title><style>p{}</style></head><body class="has-sidebar"><header><h1>Site</h1><a href=x>Home</a></header>
@@ -49,6 +51,65 @@ def test_sides_are_a_minimum_cut():
         assert cost == brute_cut(cut)
 
 
+def test_whole_pages_against_all_labelings():
+    """The text of a page is that of a labelling of least cost among all there are."""
+    for _, page in [("", PAGE), *labelled_pages.pages(range(2))]:
+        found = html_extract.blocks_of(labelled_pages.clean(page))[:14]
+        cut = html_extract.graph(found)
+        side = cut.sides()
+        cost = sum(-min(c, 0) if s else max(c, 0) for s, c in zip(side, cut.costs, strict=True)) + sum(w for (a, b), w in cut.edges.items() if side[a] != side[b])
+        assert cost == brute_cut(cut)
+
+
+def rates(pages, weights=None):
+    """Precision and recall of the cut and of own costs alone, and how many labels the cut changed, for the better."""
+    hit = {"cut": [0, 0, 0], "own": [0, 0, 0]}
+    changed = better = 0
+    for _, page in pages:
+        labelled = labelled_pages.labelled(page)
+        cut = html_extract.graph([b for b, _ in labelled], weights)
+        for (_, y), s, c in zip(labelled, cut.sides(), cut.costs, strict=True):
+            for kind, said in (("cut", s), ("own", c > 0)):
+                hit[kind][0] += said and y
+                hit[kind][1] += said
+                hit[kind][2] += y
+            changed += s != (c > 0)
+            better += s == y != (c > 0)
+    return {k: (a / b, a / n) for k, (a, b, n) in hit.items()}, changed, better
+
+
+def test_the_cut_decides_on_labelled_pages():
+    found, changed, better = rates(labelled_pages.pages(range(30)))
+    assert changed > 500 and better > 0.9 * changed
+    assert min(found["cut"]) > 0.97 and found["own"][0] < 0.94 and found["own"][1] < 0.92
+
+
+def test_weights_come_from_the_labelled_pages():
+    weights = html_extract.fit(x for _, page in labelled_pages.pages(range(100, 140)) for x in labelled_pages.labelled(page))
+    assert {**dict.fromkeys(html_extract.WEIGHTS, 0), **weights} == html_extract.WEIGHTS
+    wrong = []
+    for skeleton in labelled_pages.SKELETONS:  # pages of a design that nothing was fitted on
+        others = [f for f in labelled_pages.SKELETONS if f is not skeleton]
+        weights = html_extract.fit(x for _, page in labelled_pages.pages(range(100, 120), others) for x in labelled_pages.labelled(page))
+        found, _, _ = rates(labelled_pages.pages(range(10), [skeleton]), weights)
+        wrong.append(min(found["cut"]) < 0.9)
+    assert sum(wrong) <= 4
+
+
+@pytest.mark.parametrize("page", ["<div>x" * 8000, "<a x " * 10_000, "<a x " * 10_000 + ">", "<!" * 25_000, "<div>" * 8000 + "</x>" * 8000, "<b>" * 8000 + "<p></p>" * 8000, "<a b='" * 8001 + ">", "<div>" * 5000 + "<td>x" * 5000, "<i>x" * 8000 + "</i><div>x" * 4000, "<li><div>" * 8000, "<span class=ad>x" * 8000, "<!--" * 20_000, "&amp" * 20_000, "<p>x y z. " * 8000])
+def test_time_is_linear_on_odd_pages(page):
+    began = time.perf_counter()
+    html_extract.extract(page)
+    assert time.perf_counter() - began < 2
+
+
+def test_a_very_long_text_and_forms(spark):
+    text = "Words of a long text. " * 60_000
+    page = f"<body><form><main><p>{text}</p></main><p>Mail</p></form></body>"
+    pages = spark.createDataFrame([(1, "u", page, 0), (1, "u", page, 1), (3, None, "<p hidden>Not to be seen, but for the long text that it has.</p>", 2)], "page_id long, url string, html string, n_chars int")
+    assert {(r.page_id, r.n_chars) for r in html_extract.main_text(pages).collect()} == {(1, len(text.strip())), (3, 0)}
+
+
 def test_smoothness_saves_a_short_block_and_drops_a_lone_one():
     cut = html_extract.Cut([20, -3, 20])
     cut.join(0, 1, 5)
