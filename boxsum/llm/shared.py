@@ -15,11 +15,14 @@ BLOCK_BYTES = 1 << 20
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder from spark.checkpoint.dir; a temporary one only where none is set (local tests)."""
+    """The folder from spark.checkpoint.dir, or that set in the session; a temporary one in local mode alone, where one machine is all."""
     if root := spark.conf.get("spark.checkpoint.dir", None):
         return root
     held = spark.sparkContext._jsc.sc().getCheckpointDir()
     if held.isEmpty():
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="boxsum-"))
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
     return held.get()
@@ -30,6 +33,13 @@ def shared_path(spark: SparkSession, what: str) -> str:
     return f"{shared_root(spark).rstrip('/')}/{what}-{uuid.uuid4().hex}"
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Take a path of the shared folder away, if it is there."""
+    jvm = spark.sparkContext._jvm
+    at = jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def cut(df: DataFrame) -> DataFrame:
     """df, computed once and kept in the shared folder."""
     shared_root(df.sparkSession)
