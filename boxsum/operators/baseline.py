@@ -8,6 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from boxsum.operators.build import running
 from boxsum.operators.query import divided
 from boxsum.plans.box import Range, plan_box
 from boxsum.plans.spec import GridSpec
@@ -91,10 +92,8 @@ class CachedAverager:
 
 
 def range_average(cells: DataFrame, axis: str, lo: int, hi: int, value: str = "sx") -> DataFrame:
-    """(s, avg) of one range of a line without gaps, as the difference of two cumulative sums."""
-    from boxsum.operators.build import running
-
-    sums = running(cells.select(F.col(axis).alias("__m"), F.col(value).alias("sx")), [], {"sx": "sum"})
-    ends = sums.where(F.col("__m").isin([i for i in (lo - 1, hi - 1) if i >= 0]))
-    s = F.sum(F.when(F.col("__m") == hi - 1, F.col("sx")).otherwise(-F.col("sx")))
-    return ends.agg(s.alias("s"), (s.cast("double") / (hi - lo)).alias("avg"))
+    """(s, avg) of one range of a line, as the difference of two cumulative sums: the last ones below its ends."""
+    sums = running(cells.select(F.col(axis).alias("__m"), F.col(value).alias("sx")), [], {"sx": "sum"}, hi)
+    below = lambda end: F.coalesce(F.max_by("sx", F.when(F.col("__m") < end, F.col("__m"))), F.lit(0))
+    s = below(hi) - below(lo)
+    return sums.where(F.col("__m") < hi).agg(s.alias("s"), (s.cast("double") / (hi - lo)).alias("avg"))

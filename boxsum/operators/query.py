@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterable, Mapping
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from boxsum.operators.build import AnchorStore
+from boxsum.operators.build import AnchorStore, accumulate
 from boxsum.plans.box import BoxPlan, Range, ScanTerm, plan_box
-from boxsum.plans.spec import GridSpec, SpecError, common_step
+from boxsum.plans.spec import GridSpec, SpecError, common_step, usable
 
 
 def _sign(column: str, values: list[tuple[Column, int]]) -> Column:
@@ -48,14 +49,14 @@ def signed_rows(store: AnchorStore, plan: BoxPlan, measures: Iterable[str]) -> D
 
 
 def plan_of(store: AnchorStore, box: Mapping[str, Range], average_over: Iterable[str], mode: str = "floor") -> BoxPlan:
-    return plan_box(store.grid, store.specs, box, average_over, mode)
+    return plan_box(store.grid, store.specs, box, average_over, mode, store.scan_cost)
 
 
 def box_sum(store: AnchorStore, box: Mapping[str, Range], average_over: Iterable[str], mode: str = "floor", measures: Iterable[str] | None = None) -> DataFrame:
     """(kept axes, measures): sums over the box for each point of the kept axes that has a cell in the box."""
     measures = list(measures or store.grid.measures)
     plan = plan_of(store, box, average_over, mode)
-    if len(plan.scans) == 1 and plan.scans[0].subset == plan.averaged and all(len(q) == 1 for q in plan.scans[0].anchors.values()):
+    if not store.in_parts and len(plan.scans) == 1 and plan.scans[0].subset == plan.averaged and all(len(q) == 1 for q in plan.scans[0].anchors.values()):
         return scan_term(store, plan.scans[0], measures).where("n > 0")  # one anchor row a point: nothing to add up, no shuffle
     return signed_rows(store, plan, measures).groupBy(*plan.kept).agg(*(F.sum(m).alias(m) for m in measures)).where("n > 0")
 
@@ -92,80 +93,107 @@ def time_map(store: AnchorStore, box: Mapping[str, Range], time: str = "t", **op
 
 
 def box_moments(store: AnchorStore, box: Mapping[str, Range], average_over: Iterable[str], mode: str = "floor") -> DataFrame:
-    """(kept axes, p, mean, variance): of the values of cells in the box, the variance in exact decimals before dividing."""
+    """(kept axes, p, mean, variance): of the values of cells in the box.
+
+    The variance is taken in exact decimals before dividing; where n * sum(x^2) has more than 38 digits, in doubles.
+    """
     plan = plan_of(store, box, average_over, mode)
     sums = box_sum(store, box, average_over, mode, ["sx", "sxx", "p", "n"])
-    wide = lambda c: F.col(c).cast("decimal(38,0)")
-    spread = (wide("sxx") * F.col("p").cast("decimal(10,0)")).cast("decimal(38,0)") - (F.col("sx").cast("decimal(19,0)") * F.col("sx").cast("decimal(19,0)")).cast("decimal(38,0)")
-    return sums.select(*plan.kept, "p", (F.col("sx").cast("double") / F.col("p")).alias("mean"), F.greatest(F.lit(0.0), spread.cast("double") / (F.col("p").cast("double") * F.col("p"))).alias("variance"))
+    sx, p, sxx = F.col("sx").cast("decimal(19,0)"), F.col("p").cast("decimal(19,0)"), F.col("sxx").cast("decimal(38,0)")
+    exact = F.try_subtract(F.try_multiply(sxx, p), F.try_multiply(sx, sx))
+    count = F.col("p").cast("double")
+    mean = F.col("sx").cast("double") / count
+    variance = F.coalesce(exact.cast("double") / (count * count), F.col("sxx").cast("double") / count - mean * mean)
+    return sums.select(*plan.kept, "p", mean.alias("mean"), F.greatest(F.lit(0.0), variance).alias("variance"))
 
 
-def box_average_many(store: AnchorStore, boxes: DataFrame, average_over: Iterable[str], measures: Iterable[str] = ("sx", "n")) -> DataFrame:
+def box_average_many(store: AnchorStore, boxes: DataFrame, average_over: Iterable[str], measures: Iterable[str] = ("sx", "n"), mode: str = "floor") -> DataFrame:
     """(box_id, kept axes, s, n, avg) of a table of boxes: box_id and <axis>_lo, <axis>_hi for each axis, half-open.
 
-    Each averaged axis gives the signed anchors and gap cells of a box as arrays; each subset's scan is a plain
-    equi-join on anchor numbers and gap indices, a range condition only on kept axes.
+    Each averaged axis that anchors are used for gives the signed anchors and gap cells of a box as arrays; each
+    subset's scan is a plain equi-join on anchor numbers and gap indices, a range condition only on the other axes.
+    Anchors are used for the most averaged axes all of whose subsets are there, at least one.
     """
     grid, over, measures = store.grid, store.grid.order(average_over), list(measures)
     kept = [a for a in grid.names if a not in over]
-    subsets = [s for s in store.specs if set(s) <= set(over)]
-    if len(subsets) != 2 ** len(over) - 1:
-        raise SpecError("many boxes need the tables of all subsets of the averaged axes")
+    used = usable(over, store.specs)
+    if not used:
+        raise SpecError("many boxes need a table of an averaged axis")
+    plain = [a for a in grid.names if a not in used]
+    subsets = [s for s in store.specs if set(s) <= set(used)]
+    empty = F.array().cast("array<struct<i: int, sign: int>>")
     rows = boxes
-    for a in over:
-        step = common_step(grid, [store.specs[s] for s in subsets], a)
-        lo, hi = F.col(f"{a}_lo"), F.col(f"{a}_hi")
-        q_lo, q_hi = F.floor(lo / step).cast("int"), F.floor(hi / step).cast("int")
+    for a in used:
+        step, n = common_step(grid, [store.specs[s] for s in subsets], a), grid[a].n
         piece = lambda i, s: F.struct(i.cast("int").alias("i"), F.lit(s).alias("sign"))
-        span = lambda x, y, s: F.when(x < y, F.transform(F.sequence(x, y - 1), lambda i: piece(i, s))).otherwise(F.array().cast("array<struct<i: int, sign: int>>"))  # noqa: E731, B023
+        span = lambda x, y, s: F.when(x < y, F.transform(F.sequence(x, y - 1), lambda i: piece(i, s))).otherwise(empty)  # noqa: E731, B023
+        ends = {}
+        for end in ("lo", "hi"):
+            e = F.col(f"{a}_{end}")
+            below = F.floor(e / step).cast("int")
+            above = (below + 1) * step
+            up = (above <= n) & (above - e < e - below * step) if mode == "nearest" else F.lit(False)
+            ends[end] = e, F.when(up, below + 1).otherwise(below)
+        (lo, q_lo), (hi, q_hi) = ends["lo"], ends["hi"]
+        gap = lambda e, q, s: F.when(q * step > e, span(e, q * step, -s)).otherwise(span(q * step, e, s))  # noqa: E731, B023
         anchors = F.filter(F.array(piece(q_hi, 1), piece(q_lo, -1)), lambda p: p["i"] > 0)
-        rows = rows.withColumn(f"anchors_{a}", F.when(q_lo == q_hi, F.array().cast("array<struct<i: int, sign: int>>")).otherwise(anchors))
-        rows = rows.withColumn(f"gaps_{a}", F.when(q_lo == q_hi, span(lo, hi, 1)).otherwise(F.concat(span(q_hi * step, hi, 1), span(q_lo * step, lo, -1))))
+        rows = rows.withColumn(f"anchors_{a}", F.when(q_lo == q_hi, empty).otherwise(anchors))
+        rows = rows.withColumn(f"gaps_{a}", F.when(q_lo == q_hi, span(lo, hi, 1)).otherwise(F.concat(gap(hi, q_hi, 1), gap(lo, q_lo, -1))))
     terms = []
     for s in [(), *subsets]:
         wanted = rows.withColumn("sign", F.lit(1))
-        for a in over:
+        for a in used:
             wanted = wanted.withColumn("piece", F.explode(f"{'anchors' if a in s else 'gaps'}_{a}")).withColumn(f"at_{a}", F.col("piece.i")).withColumn("sign", F.col("sign") * F.col("piece.sign")).drop("piece")
-        wanted = wanted.select("box_id", "sign", *(f"at_{a}" for a in over), *(f"{a}_{end}" for a in kept for end in ("lo", "hi")))
+        wanted = wanted.select("box_id", "sign", *(f"at_{a}" for a in used), *(f"{a}_{end}" for a in plain for end in ("lo", "hi")))
         table = store.tables[s] if s else store.cells
         conditions = []
-        for a in over:
+        for a in used:
             scale = common_step(grid, [store.specs[x] for x in subsets], a) // (grid[a].tile * store.specs[s].of(a)) if a in s else 1
             conditions.append(table[f"q_{a}" if a in s else a] == wanted[f"at_{a}"] * scale)
-        conditions += [(table[a] >= wanted[f"{a}_lo"]) & (table[a] < wanted[f"{a}_hi"]) for a in kept]
+        conditions += [(table[a] >= wanted[f"{a}_lo"]) & (table[a] < wanted[f"{a}_hi"]) for a in plain]
         joined = table.join(wanted, reduce(lambda x, y: x & y, conditions))
         terms.append(joined.select("box_id", *(table[a] for a in kept), *((table[m] * wanted["sign"]).alias(m) for m in measures)))
     sums = reduce(DataFrame.unionByName, terms).groupBy("box_id", *kept).agg(*(F.sum(m).alias(m) for m in measures)).where("n > 0")
-    extent = reduce(lambda x, y: x * y, (F.col(f"{a}_hi") - F.col(f"{a}_lo") for a in over))
-    return sums.join(boxes.select("box_id", extent.cast("long").alias("extent")), "box_id").select("box_id", *kept, F.col("sx").alias("s"), "n", (F.col("sx").cast("double") / F.col("extent")).alias("avg"))
+    extent = reduce(lambda x, y: x * y, (F.col(f"{a}_hi").cast("long") - F.col(f"{a}_lo") for a in over))
+    return sums.join(boxes.select("box_id", extent.alias("extent")), "box_id").select("box_id", *kept, F.col("sx").alias("s"), "n", (F.col("sx").cast("double") / F.col("extent")).alias("avg"))
 
 
 def patched_tile(store: AnchorStore, tile: Mapping[str, int], average_over: Iterable[str]) -> DataFrame:
     """(axes, value, role): a step-sized tile whose leading faces hold sums from the origin instead of their cells.
 
-    A cell at the tile's first index of the averaged axes S (`role`, empty for none) holds the sum of all cells
-    up to its own index along S; the rest is raw, and cells that are missing are 0. Summing from the tile's
-    first cell to an end then gives the sum from the origin to that end, the end's cell included.
+    A step is the least common multiple of the strides of an axis' tables, in tiles. Faces are replaced along the
+    axes that anchors can be used for: the most of the averaged ones all of whose subsets are there (none, if there
+    is no table). A cell at the tile's first index of the axes S of these (`role`, empty for none) holds the sum of
+    all cells up to its own index along S; the rest is raw, and cells that are missing are 0. Summing from the
+    tile's first cell to an end then gives the sum, along those axes, from the origin to that end, the end's cell
+    included.
     """
-    grid, over = store.grid, store.grid.order(average_over)
+    grid = store.grid
+    over = usable(grid.order(average_over), store.specs)
     spark = store.cells.sparkSession
-    step = {a.name: a.tile * max(1, *(s.of(a.name) for s in store.specs.values())) for a in grid.axes}
+    subsets = [s for s in store.specs if s and set(s) <= set(over)]
+    step = {a.name: a.tile * math.lcm(*(store.specs[s].of(a.name) for s in subsets if a.name in s)) for a in grid.axes}
     first = {a: tile[a] * step[a] for a in grid.names}
-    out = spark.range(1).select(*(F.lit(first[a]).alias(f"first_{a}") for a in grid.names))
+    for a in grid.names:
+        if not 0 <= first[a] < grid[a].n:
+            raise SpecError(f"{a} has no tile {tile[a]}")
+    out = spark.range(1).select()
     for a in grid.names:
         out = out.withColumn(a, F.explode(F.sequence(F.lit(first[a]), F.lit(min(first[a] + step[a], grid[a].n) - 1))))
-    out = out.select(*grid.names, F.filter(F.array(*(F.when(F.col(a) == first[a], F.lit(a)) for a in over)), lambda x: x.isNotNull()).alias("role"))
+    roles = F.filter(F.array(*(F.when(F.col(a) == first[a], F.lit(a)) for a in over)), lambda x: x.isNotNull()) if over else F.array().cast("array<string>")
+    out = out.select(*grid.names, roles.alias("role"))
     inside = reduce(lambda x, y: x & y, ((F.col(a) >= first[a]) & (F.col(a) < first[a] + step[a]) for a in grid.names))
-    out = out.join(store.cells.where(inside).select(*grid.names, F.col("sx").alias("value")), list(grid.names), "left").withColumn("value", F.coalesce("value", F.lit(0)))
-    for s in (x for x in store.specs if set(x) <= set(over)):
+    raw = store.cells.where(inside).groupBy(*grid.names).agg(F.sum("sx").alias("value"))
+    out = out.join(raw, list(grid.names), "left").withColumn("value", F.coalesce("value", F.lit(0)))
+    for s in subsets:
         if not all(tile[a] for a in s):
             continue  # nothing lies below the origin
         rest = [a for a in grid.names if a not in s]
         table = store.tables[s]
         for a in s:
             table = table.where(F.col(f"q_{a}") == first[a] // (grid[a].tile * store.specs[s].of(a)))
-        table = table.select(*rest, F.col("sx").alias("below"))
-        out = out.join(table, rest, "left") if rest else out.crossJoin(table)
+        below = table.groupBy(*rest).agg(F.sum("sx").alias("below"))  # without other axes, one row in any case
+        out = out.join(below, rest, "left") if rest else out.crossJoin(below)
         holds = reduce(lambda x, y: x & y, (F.array_contains("role", a) for a in s))
         out = out.withColumn("value", F.col("value") + F.when(holds, F.coalesce("below", F.lit(0))).otherwise(0)).drop("below")
     return out
@@ -178,41 +206,65 @@ def tile_extrema(cells: DataFrame, grid: GridSpec, over: Iterable[str]) -> DataF
     return cells.groupBy(*(F.floor(F.col(a) / grid[a].tile).cast("int").alias(f"tile_{a}") for a in over), *kept).agg(F.min("sx").alias("mn"), F.max("sx").alias("mx"))
 
 
-def box_extrema(cells: DataFrame, grid: GridSpec, box: Mapping[str, Range], average_over: Iterable[str], method: str = "tiles", summary: DataFrame | None = None) -> DataFrame:
-    """(kept axes, mn, mx) over the cells in a box: from summaries of covered tiles and the cells around them, from
-    running extrema of the axis (boxes from the origin only), or from overlapping blocks of powers of two."""
-    over = grid.order(average_over)
-    kept = [a for a in grid.names if a not in over]
-    bounds = {a: box.get(a, (0, grid[a].n)) for a in grid.names}
-    within = lambda names: reduce(lambda x, y: x & y, ((F.col(a) >= bounds[a][0]) & (F.col(a) < bounds[a][1]) for a in names), F.lit(True))
-    ends = (F.min("mn").alias("mn"), F.max("mx").alias("mx"))
+def running_extrema(cells: DataFrame, grid: GridSpec, axis: str) -> DataFrame:
+    """(other axes, q_<axis>, mn, mx) of all cells below each tile boundary of an axis."""
     raw = cells.select(*grid.names, F.col("sx").alias("mn"), F.col("sx").alias("mx"))
+    return accumulate(raw, [a for a in grid.names if a != axis], axis, grid[axis].tile, grid[axis].n, {"mn": "min", "mx": "max"})
+
+
+def block_extrema(cells: DataFrame, grid: GridSpec, axis: str) -> DataFrame:
+    """(other axes, level, tile_<axis>, mn, mx): of the 2^level tiles from each one on.
+
+    Two blocks of a level cover any run of tiles. Each level is the one before with itself moved, on the tiles'
+    extrema; a block without a cell has no row. Log2 of the tiles as many rows as there are tiles, at most.
+    """
+    others, at = [a for a in grid.names if a != axis], f"tile_{axis}"
+    level = tile_extrema(cells, grid, (axis,))
+    levels, size, k = [level.withColumn("level", F.lit(0))], 1, 0
+    while 2 * size <= -(-grid[axis].n // grid[axis].tile):
+        moved = level.withColumn(at, F.col(at) - size).where(F.col(at) >= 0)
+        level = level.unionByName(moved).groupBy(*others, at).agg(F.min("mn").alias("mn"), F.max("mx").alias("mx"))
+        size, k = 2 * size, k + 1
+        levels.append(level.withColumn("level", F.lit(k)))
+    return reduce(DataFrame.unionByName, levels).select(*others, "level", at, "mn", "mx")
+
+
+def build_extrema(cells: DataFrame, grid: GridSpec, over: Iterable[str], method: str) -> DataFrame:
+    """The table that `box_extrema` reads by a method: "tiles" for any axes, "prefix" and "blocks" for one."""
+    over = grid.order(over)
     if method == "tiles":
-        summary = tile_extrema(cells, grid, over) if summary is None else summary
-        full = {a: (-(-bounds[a][0] // grid[a].tile), bounds[a][1] // grid[a].tile) for a in over}
-        covered = summary.where(within(kept)).where(reduce(lambda x, y: x & y, ((F.col(f"tile_{a}") >= lo) & (F.col(f"tile_{a}") < hi) for a, (lo, hi) in full.items())))
-        core = reduce(lambda x, y: x & y, ((F.col(a) >= lo * grid[a].tile) & (F.col(a) < hi * grid[a].tile) for a, (lo, hi) in full.items()))
-        return covered.select(*kept, "mn", "mx").unionByName(raw.where(within(grid.names)).where(~core).select(*kept, "mn", "mx")).groupBy(*kept).agg(*ends)
+        return tile_extrema(cells, grid, over)
+    if method not in ("prefix", "blocks"):
+        raise SpecError(f"unknown method {method}")
     if len(over) != 1:
         raise SpecError(f"{method} works along one axis")
-    (a,) = over
-    lo, hi = bounds[a]
-    if method == "prefix":
-        from boxsum.operators.build import accumulate
+    return (running_extrema if method == "prefix" else block_extrema)(cells, grid, over[0])
+
 
-        if lo:
+def box_extrema(cells: DataFrame, grid: GridSpec, box: Mapping[str, Range], average_over: Iterable[str], method: str = "tiles", table: DataFrame | None = None) -> DataFrame:
+    """(kept axes, mn, mx) over the cells in a box, from a stored table (`build_extrema`) and the cells that it leaves.
+
+    "tiles" reads the extrema of all covered tiles, "prefix" one row a kept point (boxes from the origin only),
+    "blocks" two overlapping blocks of covered tiles; all of them the cells around.
+    """
+    over = grid.order(average_over)
+    kept = [a for a in grid.names if a not in over]
+    bounds = {a: box.get(a, (0, grid[a].n)) for a in grid.names}
+    within = lambda names: reduce(lambda x, y: x & y, ((F.col(a) >= bounds[a][0]) & (F.col(a) < bounds[a][1]) for a in names), F.lit(True))
+    table = build_extrema(cells, grid, over, method) if table is None else table
+    full = {a: (-(-bounds[a][0] // grid[a].tile), bounds[a][1] // grid[a].tile) for a in over}
+    if method == "tiles":
+        covered = table.where(reduce(lambda x, y: x & y, ((F.col(f"tile_{a}") >= lo) & (F.col(f"tile_{a}") < hi) for a, (lo, hi) in full.items())))
+    else:
+        (a,) = over
+        if method == "prefix" and bounds[a][0]:
             raise SpecError("running extrema answer boxes from the origin only")
-        step, q = grid[a].tile, hi // grid[a].tile
-        anchors = accumulate(raw, kept, a, step, grid[a].n, {"mn": "min", "mx": "max"})
-        rim = raw.where(within(grid.names)).where(F.col(a) >= q * step)
-        return anchors.where(within(kept)).where(F.col(f"q_{a}") == q).select(*kept, "mn", "mx").unionByName(rim.select(*kept, "mn", "mx")).groupBy(*kept).agg(*ends)
-    if method == "blocks":
-        # block k at i covers [i, i + 2^k); two blocks cover any range. Missing cells leave the blocks' starts sparse,
-        # so each level is the last one with itself moved, summed over the starts both have.
-        level, size = raw.where(within(grid.names)), 1
-        while size * 2 <= hi - lo:
-            moved = level.withColumn(a, F.col(a) - size)
-            level = level.unionByName(moved).where(F.col(a) >= lo).groupBy(*grid.names).agg(*ends)
-            size *= 2
-        return level.where((F.col(a) == lo) | (F.col(a) == hi - size)).groupBy(*kept).agg(*ends)
-    raise SpecError(f"unknown method {method}")
+        lo, hi = full[a]
+        level = max(0, hi - lo).bit_length() - 1
+        if method == "prefix":
+            covered = table.where(F.col(f"q_{a}") == hi)
+        else:
+            covered = table.where(F.col("level") == level).where(F.col(f"tile_{a}").isin([lo, hi - (1 << max(level, 0))]))
+    core = reduce(lambda x, y: x & y, ((F.col(a) >= lo * grid[a].tile) & (F.col(a) < hi * grid[a].tile) for a, (lo, hi) in full.items()))
+    rim = cells.where(within(grid.names)).where(~core).select(*kept, F.col("sx").alias("mn"), F.col("sx").alias("mx"))
+    return covered.where(within(kept)).select(*kept, "mn", "mx").unionByName(rim).groupBy(*kept).agg(F.min("mn").alias("mn"), F.max("mx").alias("mx"))

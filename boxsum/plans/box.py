@@ -10,7 +10,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterable, Mapping
 from dataclasses import dataclass
-from itertools import chain, combinations
+from itertools import chain, combinations, product
 
 from boxsum.plans.spec import AnchorSpec, GridSpec, SpecError, Subset, common_step
 
@@ -98,8 +98,12 @@ class BoxPlan:
         return total
 
 
-def plan_box(grid: GridSpec, specs: Mapping[Subset, AnchorSpec], box: Mapping[str, Range], average_over: Iterable[str], mode: str = "floor") -> BoxPlan:
-    """The cheapest plan: anchors for a set P of averaged axes all of whose subsets are there, plain ranges for the rest."""
+def plan_box(grid: GridSpec, specs: Mapping[Subset, AnchorSpec], box: Mapping[str, Range], average_over: Iterable[str], mode: str = "floor", scan_cost: int = 0) -> BoxPlan:
+    """The cheapest plan: anchors for a set P of averaged axes all of whose subsets are there, plain ranges for the rest.
+
+    A plan's cost is the rows that it reads and `scan_cost` rows for each scan. The mode "best" takes the cheaper
+    of "floor" and "nearest".
+    """
     over = grid.order(average_over)
     bounds = {a: tuple(box.get(a, (0, grid[a].n))) for a in grid.names}
     if unknown := set(box) - set(grid.names):
@@ -110,12 +114,13 @@ def plan_box(grid: GridSpec, specs: Mapping[Subset, AnchorSpec], box: Mapping[st
     kept = {a: bounds[a] for a in grid.names if a not in over}
     extent = math.prod(bounds[a][1] - bounds[a][0] for a in over)
     best = None
-    for used in chain.from_iterable(combinations(over, k) for k in range(len(over) + 1)):
+    modes = ("floor", "nearest") if mode == "best" else (mode,)
+    for used, ends in product(chain.from_iterable(combinations(over, k) for k in range(len(over) + 1)), modes):
         subsets = list(chain.from_iterable(combinations(used, k) for k in range(1, len(used) + 1)))
         if not all(s in specs for s in subsets):
             continue
         steps = {a: common_step(grid, [specs[s] for s in subsets], a) for a in used}
-        split = {a: pieces(*bounds[a], steps[a], grid[a].n, mode) for a in used}
+        split = {a: pieces(*bounds[a], steps[a], grid[a].n, ends) for a in used}
         terms = []
         for s in [(), *subsets]:
             anchors = {a: tuple((q * steps[a] // (grid[a].tile * specs[s].of(a)), sign) for q, sign in split[a].anchors) for a in s}
@@ -123,6 +128,7 @@ def plan_box(grid: GridSpec, specs: Mapping[Subset, AnchorSpec], box: Mapping[st
             if all(anchors.values()) and all(gaps.values()):
                 terms.append(ScanTerm(s, anchors, gaps, kept))
         plan = BoxPlan(tuple(terms), over, tuple(kept), extent, used)
-        if best is None or (plan.reads(), len(plan.scans)) < (best.reads(), len(best.scans)):
-            best = plan
-    return best
+        cost = plan.reads() + scan_cost * len(plan.scans), len(plan.scans)
+        if best is None or cost < best[0]:
+            best = cost, plan
+    return best[1]

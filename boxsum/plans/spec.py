@@ -115,6 +115,20 @@ def validate(attributes: Mapping, grid: GridSpec | None = None) -> AnchorSpec:
     return AnchorSpec(tuple(names), tuple(strides))
 
 
+def array_name(subset: Iterable[str], kind: str = "plain") -> str:
+    return {"plain": "acc_", "weighted": "acc_weighted_", "weight": "acc_wt_"}[kind] + "_".join(subset)
+
+
+def usable(over: Subset, present: Iterable[Subset]) -> Subset:
+    """The most axes of `over` all of whose subsets are there; of as many the first."""
+    have = set(present)
+    for k in range(len(over), 0, -1):
+        for some in combinations(over, k):
+            if all(c in have for j in range(1, k + 1) for c in combinations(some, j)):
+                return some
+    return ()
+
+
 def subsets_for(services: Iterable[Iterable[str]], grid: GridSpec) -> list[Subset]:
     """All subsets that averages over the given sets of axes can use, smaller ones first."""
     found = {grid.order(c) for d in services for k in range(1, len(set(d)) + 1) for c in combinations(grid.order(d), k)}
@@ -128,17 +142,18 @@ class AnchorCatalog:
     grid: GridSpec
     entries: dict[Subset, dict] = field(default_factory=dict)
 
-    def add(self, spec: AnchorSpec, path: str = "", kinds: Iterable[str] = ("plain",), rows: int | None = None) -> None:
+    def add(self, spec: AnchorSpec, kinds: Iterable[str] = ("plain",), rows: int | None = None, names: Mapping[str, str] | None = None) -> None:
+        """A subset's tables, one a kind; `names` where they are not called as usual."""
         if spec.axes != self.grid.names:
             raise SpecError("the grid has other axes")
         if unknown := set(kinds) - set(KINDS):
             raise SpecError(f"unknown kinds {sorted(unknown)}")
-        self.entries[spec.subset] = {"spec": spec, "path": path, "kinds": tuple(kinds), "rows": rows}
+        self.entries[spec.subset] = {"spec": spec, "names": {k: (names or {}).get(k) or array_name(spec.subset, k) for k in kinds}, "rows": rows}
 
     def find(self, names: Iterable[str], kind: str = "plain") -> str | None:
-        """The place of a table by its axes in any order; None if it isn't there or lacks the kind."""
+        """The name of a table by its axes in any order; None if it isn't there or lacks the kind."""
         e = self.entries.get(self.grid.order(names))
-        return e["path"] if e and kind in e["kinds"] else None
+        return e["names"].get(kind) if e else None
 
     def stride(self, names: Iterable[str]) -> dict[str, int]:
         s = self.entries[self.grid.order(names)]["spec"]
@@ -149,12 +164,12 @@ class AnchorCatalog:
         return tile // self.stride(names)[axis]
 
     def rows(self) -> list[tuple]:
-        """(subset, kind, path, stride) of every table and kind."""
-        return [(list(s), k, e["path"], self.stride(s)) for s, e in sorted(self.entries.items(), key=lambda x: (len(x[0]), x[0])) for k in e["kinds"]]
+        """(subset, kind, name, stride) of every table and kind."""
+        return [(list(s), k, name, self.stride(s)) for s, e in sorted(self.entries.items(), key=lambda x: (len(x[0]), x[0])) for k, name in e["names"].items()]
 
     def to_json(self) -> str:
         axes = [{"name": a.name, "n": a.n, "tile": a.tile, "origin": a.origin, "width": a.width, "wraps": a.wraps} for a in self.grid.axes]
-        tables = [{"subset": list(s), "stride": list(e["spec"].stride), "kinds": list(e["kinds"]), "path": e["path"], "rows": e["rows"]} for s, e in self.entries.items()]
+        tables = [{"subset": list(s), "stride": list(e["spec"].stride), "names": e["names"], "rows": e["rows"]} for s, e in self.entries.items()]
         return json.dumps({"grid": self.grid.name, "measures": list(self.grid.measures), "axes": axes, "tables": tables}, indent=1)
 
     @classmethod
@@ -165,7 +180,7 @@ class AnchorCatalog:
             spec = validate({DIMENSIONS: list(out.grid.names), STRIDE: t["stride"]}, out.grid)
             if list(spec.subset) != t["subset"]:
                 raise SpecError(f"strides are positive on {spec.subset}, not {t['subset']}")
-            out.add(spec, t["path"], t["kinds"], t["rows"])
+            out.add(spec, t["names"], t["rows"], t["names"])
         return out
 
     def export_attributes(self) -> dict:
@@ -173,7 +188,7 @@ class AnchorCatalog:
 
         def node(prefix: Subset) -> dict:
             e = self.entries.get(prefix)
-            out = {} if e is None else {KINDS[k]: f"{e['path']}{'' if k != 'weight' else '_weight'}" for k in e["kinds"]}
+            out = {} if e is None else {KINDS[k]: name for k, name in e["names"].items()}
             last = self.grid.names.index(prefix[-1]) if prefix else -1
             for a in self.grid.names[last + 1 :]:
                 out[a] = node((*prefix, a))
@@ -181,6 +196,10 @@ class AnchorCatalog:
 
         return {GROUP: node(())}
 
+    def array_attributes(self, names: Iterable[str]) -> dict:
+        """The attributes of a subset's tables: all axes, and the strides along them."""
+        return {DIMENSIONS: list(self.grid.names), STRIDE: list(self.entries[self.grid.order(names)]["spec"].stride)}
+
     @staticmethod
     def import_attributes(tree: Mapping) -> dict[tuple[Subset, str], str]:
         """(subset, kind) to table name from such a tree; unknown keys and kinds are refused."""

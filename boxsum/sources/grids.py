@@ -7,7 +7,8 @@ some grids add `p` (1 for a cell), `sxx` (the square, a decimal), `sw` and `swx`
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,18 +18,50 @@ from boxsum.plans.spec import AxisSpec, GridSpec
 
 @dataclass(frozen=True)
 class Grid:
+    """A grid over given tables. Axes of ids have as many cells as the ids need, `spec` says how many at least.
+
+    `ids` has the table and column of such axes. A cell beyond an axis is an error; rows without a place are none.
+    """
+
     spec: GridSpec
-    cells: Callable[[SparkSession, str], DataFrame]
+    build: Callable[[SparkSession, str], DataFrame]
     sql: str
+    ids: dict[str, tuple[str, str]] = field(default_factory=dict, hash=False)
+
+    def sized(self, spark: SparkSession, sf_dir: str) -> GridSpec:
+        """The grid's axes as long as the tables have them: one number an axis, from the files' statistics or one column."""
+        n = {}
+        for axis, (name, column) in self.ids.items():
+            top = table(spark, sf_dir, name).agg(F.max(column)).first()[0]
+            n[axis] = max(self.spec[axis].n, 0 if top is None else int(top) + 1)
+        return replace(self.spec, axes=tuple(replace(a, n=n.get(a.name, a.n)) for a in self.spec.axes))
+
+    def cells(self, spark: SparkSession, sf_dir: str, spec: GridSpec | None = None) -> DataFrame:
+        return on_grid(self.build(spark, sf_dir), spec or self.sized(spark, sf_dir))
+
+    def length_sql(self, axis: str) -> str:
+        """The length of an axis in DuckDB's SQL."""
+        if axis not in self.ids:
+            return str(self.spec[axis].n)
+        name, column = self.ids[axis]
+        return f"greatest({self.spec[axis].n}, (SELECT coalesce(max({column}), -1) + 1 FROM {name}))"
 
     def with_axes(self, **n: int) -> Grid:
-        """The same grid with other lengths of axes."""
-        return replace(self, spec=replace(self.spec, axes=tuple(replace(a, n=n.get(a.name, a.n)) for a in self.spec.axes)))
+        """The same grid with other lengths of axes, which are then given."""
+        return replace(self, spec=replace(self.spec, axes=tuple(replace(a, n=n.get(a.name, a.n)) for a in self.spec.axes)), ids={a: x for a, x in self.ids.items() if a not in n})
 
     def with_tiles(self, **tile: int) -> Grid:
         return replace(self, spec=replace(self.spec, axes=tuple(replace(a, tile=tile.get(a.name, a.tile)) for a in self.spec.axes)))
 
 
+def on_grid(cells: DataFrame, spec: GridSpec) -> DataFrame:
+    """The cells that have a place; one beyond its axis is an error, as full ranges would leave it out."""
+    nowhere = reduce(lambda x, y: x | y, (F.col(a.name).isNull() for a in spec.axes))
+    within = reduce(lambda x, y: x & y, (F.col(a.name).between(0, a.n - 1) for a in spec.axes))
+    said = F.concat(F.lit(f"a cell is outside its axis on {spec.name}: "), F.concat_ws(", ", *(F.concat(F.lit(f"{a.name} of {a.n}: "), F.col(a.name).cast("string")) for a in spec.axes)))
+    return cells.where(F.when(nowhere, False).when(within, True).otherwise(F.raise_error(said).cast("boolean")))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -46,10 +79,9 @@ def hours(c: str, origin: str = "2024-01-01") -> Column:
     return F.floor((F.unix_micros(F.col(c).cast("timestamp")) - F.unix_micros(F.lit(origin).cast("timestamp"))) / 3_600_000_000).cast("int")
 
 
-def inside(c: str, n: int) -> Column:
-    """An id as a place on an axis of n, null if it is null; one outside is an error, as full ranges would leave it out."""
-    place = F.col(c).cast("int")
-    return F.when(F.col(c).isNull() | F.col(c).between(0, n - 1), place).otherwise(F.raise_error(F.concat(F.lit(f"{c} "), F.col(c).cast("string"), F.lit(f" is outside its axis of {n}"))).cast("int"))
+def place(c: str) -> Column:
+    """An id as a place on an axis; one that is no int is told as outside of it by -1."""
+    return F.when(F.col(c).between(0, (1 << 31) - 2), F.col(c)).when(F.col(c).isNotNull(), F.lit(-1)).cast("int")
 
 
 def cells_from_table(rows: DataFrame, axes: dict[str, Column], value: Column) -> DataFrame:
@@ -75,22 +107,26 @@ G1 = Grid(GridSpec("ship", (AxisSpec("y", 50, 10), AxisSpec("x", 11, 4), AxisSpe
 G1_MORE = Grid(replace(G1.spec, measures=("sx", "n", "p", "sxx", "sw", "swx")), _ship_more, f"SELECT *, 1 AS p, CAST(sx AS HUGEINT) * sx AS sxx, n AS sw, n * sx AS swx FROM ({_SHIP_SQL.format(more='')})")
 
 
-#: Lengths of the axes that are ids, as the given tables have them.
-USERS, VECTORS, DOCUMENTS, CONVERSATIONS = 1500, 2000, 300_000, 30_000
+#: Least lengths of the axes that are ids.
+USERS, VECTORS, DOCUMENTS, CONVERSATIONS = 150, 500, 1000, 100
+#: Most values of an axis whose places are the values' order.
+NAMES = 1 << 16
 
 
 def _activity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cells_from_table(table(spark, sf_dir, "events"), {"u": inside("user_id", USERS), "t": hours("ts")}, cents("value"))
+    return cells_from_table(table(spark, sf_dir, "events"), {"u": place("user_id"), "t": hours("ts")}, cents("value"))
 
 
 _HOUR = "CAST(floor((epoch_us(ts) - epoch_us(TIMESTAMP '2024-01-01')) / 3600000000) AS INT) AS t"
-G2 = Grid(GridSpec("activity", (AxisSpec("u", USERS, 25), AxisSpec("t", 720, 24))), _activity, f"SELECT CAST(user_id AS INT) AS u, {_HOUR}, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS sx, count(*) AS n FROM events GROUP BY ALL")
+G2 = Grid(GridSpec("activity", (AxisSpec("u", USERS, 25), AxisSpec("t", 720, 24))), _activity, f"SELECT CAST(user_id AS INT) AS u, {_HOUR}, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS sx, count(*) AS n FROM events GROUP BY ALL", {"u": ("events", "user_id")})
 
 
 def dictionary(rows: DataFrame, column: str, to: str) -> DataFrame:
-    """(column, to): the distinct values numbered in their order. For axes, whose values are few."""
-    values = rows.select(column).distinct().agg(F.array_sort(F.collect_set(column)).alias("v"))
-    return values.select(F.posexplode("v").alias(to, column))
+    """(column, to): the distinct values numbered in their order. More than `NAMES` are an error, so it can be broadcast."""
+    values = rows.select(column).where(F.col(column).isNotNull()).distinct()
+    checked = values.limit(NAMES + 1).agg(F.array_sort(F.collect_set(column)).alias("v"))
+    few = F.when(F.size("v") <= NAMES, F.col("v")).otherwise(F.raise_error(F.lit(f"{column} has too many values for an axis")).cast(checked.schema["v"].dataType))
+    return checked.select(F.posexplode(few).alias(to, column))
 
 
 def _kind(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -102,12 +138,12 @@ G2B = Grid(GridSpec("kind", (AxisSpec("e", 5, 5), AxisSpec("t", 720, 24))), _kin
 
 
 def _plane(spark: SparkSession, sf_dir: str) -> DataFrame:
-    points = table(spark, sf_dir, "embeddings").select(inside("vec_id", VECTORS).alias("r"), F.posexplode("embedding").alias("c", "v"))
+    points = table(spark, sf_dir, "embeddings").select(place("vec_id").alias("r"), F.posexplode("embedding").alias("c", "v"))
     return points.select("r", "c", F.floor(F.col("v").cast("double") * 4096).cast("long").alias("sx"), F.lit(1).cast("long").alias("n"))
 
 
 _PLANE_SQL = "SELECT CAST(vec_id AS INT) AS r, CAST(c - 1 AS INT) AS c, CAST(floor(CAST(embedding[c] AS DOUBLE) * 4096) AS BIGINT) AS sx, CAST(1 AS BIGINT) AS n FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS c FROM embeddings)"
-G3 = Grid(GridSpec("plane", (AxisSpec("r", VECTORS, 50), AxisSpec("c", 64, 16))), _plane, _PLANE_SQL)
+G3 = Grid(GridSpec("plane", (AxisSpec("r", VECTORS, 50), AxisSpec("c", 64, 16))), _plane, _PLANE_SQL, {"r": ("embeddings", "vec_id")})
 
 
 def hourly_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -116,17 +152,18 @@ def hourly_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.range(720).select(F.col("id").cast("int").alias("t")).join(F.broadcast(found), "t", "left").select("t", F.coalesce("k", F.lit(0)).alias("k"))
 
 
-def field(max_r: int | None = None) -> Grid:
-    """The dense field: plane times hours; of the plane only the rows below max_r, if that is given."""
+def dense_field(max_r: int | None = None) -> Grid:
+    """The dense field: plane times hours; of the plane only the rows below max_r, if that is given (for timings)."""
 
     def cells(spark: SparkSession, sf_dir: str) -> DataFrame:
         plane = _plane(spark, sf_dir) if max_r is None else _plane(spark, sf_dir).where(F.col("r") < max_r)
         # 720 hours by design: the field is the product of the two
         return plane.crossJoin(F.broadcast(hourly_counts(spark, sf_dir))).select("r", "c", "t", (F.col("sx") * F.col("k")).alias("sx"), F.lit(1).cast("long").alias("n"))
 
+    # hours beyond the 720 are no cells of the field, in either engine
     where = "" if max_r is None else f" WHERE r < {max_r}"
     sql = f"SELECT r, c, t, sx * k AS sx, CAST(1 AS BIGINT) AS n FROM ({_PLANE_SQL}) CROSS JOIN (SELECT CAST(h AS INT) AS t, coalesce(k, 0) AS k FROM range(720) x(h) LEFT JOIN (SELECT {_HOUR}, count(*) AS k FROM events GROUP BY ALL) e ON e.t = h){where}"
-    return Grid(GridSpec("field", (AxisSpec("r", max_r or VECTORS, 50), AxisSpec("c", 64, 16), AxisSpec("t", 720, 40))), cells, sql)
+    return Grid(GridSpec("field", (AxisSpec("r", max_r or VECTORS, 50), AxisSpec("c", 64, 16), AxisSpec("t", 720, 40))), cells, sql, {} if max_r else {"r": ("embeddings", "vec_id")})
 
 
 def _orders(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -140,12 +177,12 @@ G5 = Grid(GridSpec("orders", (AxisSpec("nation", 25, 5), AxisSpec("t", 2405, 50)
 
 
 def _line(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select(inside("doc_id", DOCUMENTS).alias("d"), F.col("n_chars").cast("long").alias("sx"), F.lit(1).cast("long").alias("n"))
+    docs = table(spark, sf_dir, "documents").select(place("doc_id").alias("d"), F.col("n_chars").cast("long").alias("sx"), F.lit(1).cast("long").alias("n"))
     labels = table(spark, sf_dir, "labels").select(F.col("doc_id").cast("int").alias("d"), F.col("quality").cast("long").alias("w"))
     return docs.join(labels, "d", "left").select("d", "sx", "n", F.coalesce("w", F.lit(0)).alias("sw"), (F.coalesce("w", F.lit(0)) * F.col("sx")).alias("swx"))
 
 
-G6 = Grid(GridSpec("line", (AxisSpec("d", DOCUMENTS, 50),), ("sx", "n", "sw", "swx")), _line, "SELECT CAST(d.doc_id AS INT) AS d, n_chars AS sx, CAST(1 AS BIGINT) AS n, CAST(coalesce(quality, 0) AS BIGINT) AS sw, CAST(coalesce(quality, 0) * n_chars AS BIGINT) AS swx FROM documents d LEFT JOIN labels l ON l.doc_id = d.doc_id")
+G6 = Grid(GridSpec("line", (AxisSpec("d", DOCUMENTS, 50),), ("sx", "n", "sw", "swx")), _line, "SELECT CAST(d.doc_id AS INT) AS d, n_chars AS sx, CAST(1 AS BIGINT) AS n, CAST(coalesce(quality, 0) AS BIGINT) AS sw, CAST(coalesce(quality, 0) * n_chars AS BIGINT) AS swx FROM documents d LEFT JOIN labels l ON l.doc_id = d.doc_id", {"d": ("documents", "doc_id")})
 
 
 def _four(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -165,10 +202,10 @@ G8 = Grid(GridSpec("part", (AxisSpec("z", 50, 10), AxisSpec("b", 25, 5))), _part
 
 
 def _talk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cells_from_table(table(spark, sf_dir, "conversations"), {"k": inside("conv_id", CONVERSATIONS), "turn": F.col("turn")}, F.length("text").cast("long"))
+    return cells_from_table(table(spark, sf_dir, "conversations"), {"k": place("conv_id"), "turn": F.col("turn")}, F.length("text").cast("long"))
 
 
-G9 = Grid(GridSpec("talk", (AxisSpec("k", CONVERSATIONS, 20), AxisSpec("turn", 8, 4))), _talk, "SELECT CAST(conv_id AS INT) AS k, CAST(turn AS INT) AS turn, CAST(sum(length(text)) AS BIGINT) AS sx, count(*) AS n FROM conversations GROUP BY ALL")
+G9 = Grid(GridSpec("talk", (AxisSpec("k", CONVERSATIONS, 20), AxisSpec("turn", 8, 4))), _talk, "SELECT CAST(conv_id AS INT) AS k, CAST(turn AS INT) AS turn, CAST(sum(length(text)) AS BIGINT) AS sx, count(*) AS n FROM conversations GROUP BY ALL", {"k": ("conversations", "conv_id")})
 
 
 def _balance(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -178,5 +215,5 @@ def _balance(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 G10 = Grid(GridSpec("balance", (AxisSpec("nation", 25, 5), AxisSpec("m", 5, 5))), _balance, "SELECT c_nationkey AS nation, CAST(m AS INT) AS m, CAST(sum(CAST(round(c_acctbal * 100) AS BIGINT)) AS BIGINT) AS sx, count(*) AS n FROM customer JOIN (SELECT c_mktsegment, row_number() OVER (ORDER BY c_mktsegment) - 1 AS m FROM (SELECT DISTINCT c_mktsegment FROM customer)) USING (c_mktsegment) GROUP BY ALL")
 
-G4 = field()
+G4 = dense_field()
 GRIDS = {g.spec.name: g for g in (G1, G2, G2B, G3, G4, G5, G6, G7, G8, G9, G10)}

@@ -19,6 +19,7 @@ REGION = {"y": (7, 33), "x": (2, 9)}
 PERIOD = {"t": (123, 2001)}
 BOX = REGION | PERIOD
 LINE = {"d": (37, 861)}
+FINE = G1.with_tiles(x=1)  # eleven tiles along x, so that a stride of three has anchors
 
 # -- building -----------------------------------------------------------------------------------------------
 
@@ -39,12 +40,19 @@ add("m06_sparse_anchor_lookup", sparse_lookup, f"SELECT x, t, sx, n FROM ({ancho
 
 def packed_lookup(s, d) -> DataFrame:
     store = store_of(s, d, G1, [("t",)])
-    packed = to_packed(store.tables["t",], "q_t")
+    packed = to_packed(store.tables["t",], "q_t", ("sx", "n"))
     at = F.array_position("index", 7).cast("int")
-    return packed.where(at > 0).select("y", "x", F.element_at("values", at).alias("sx"))
+    return packed.where(at > 0).select("y", "x", F.element_at("sx", at).alias("sx"), F.element_at("n", at).alias("n"))
 
 
-add("m06_packed_anchor", packed_lookup, f"SELECT y, x, sx FROM ({anchor_sql(G1, 't')}) WHERE q_t = 7")
+add("m06_packed_anchor", packed_lookup, f"SELECT y, x, sx, n FROM ({anchor_sql(G1, 't')}) WHERE q_t = 7")
+
+
+def dense_anchor(s, d) -> DataFrame:
+    return build_anchor(G1.cells(s, d), G1.spec, AnchorSpec.uniform(G1.spec, ("t",)), layout="dense")
+
+
+add("m06_dense_anchor", dense_anchor, f"WITH cells AS ({G1.sql}) SELECT l.y, l.x, q_t, CAST(coalesce(sum(sx), 0) AS BIGINT) AS sx, CAST(coalesce(sum(n), 0) AS BIGINT) AS n FROM (SELECT DISTINCT y, x FROM cells) l CROSS JOIN (SELECT CAST(k AS INT) AS q_t FROM range(1, 50) r(k)) LEFT JOIN cells c ON c.y = l.y AND c.x = l.x AND c.t < q_t * 50 GROUP BY ALL")
 
 
 def hierarchy_equals_direct(s, d) -> DataFrame:
@@ -59,7 +67,7 @@ def hierarchy_equals_direct(s, d) -> DataFrame:
 add("m07_hierarchy_equals_direct", hierarchy_equals_direct, f"SELECT CAST(0 AS BIGINT) AS only_reused, CAST(0 AS BIGINT) AS only_direct, count(*) AS n_rows, CAST(sum(sx) AS BIGINT) AS total FROM ({anchor_sql(G1, 'yxt')})")
 for _k in (1, 2, 4):
     add_box(f"m08_stride_{_k}", G1, BOX, "yx", stride=_k)
-add_box("m08_stride_1_3_0", G1, REGION, "yx", stride={"y": 1, "x": 3})
+add_box("m08_stride_1_3_0", FINE, REGION, "yx", stride={"y": 1, "x": 3})
 add_box("m08_stride_0_0_2", G1, PERIOD, "t", stride={"t": 2})
 
 
@@ -87,12 +95,17 @@ add("m10_patched_tile_sum", lambda s, d: patched(s, d).where("y <= 16 and x <= 6
 
 
 def plan_rows(s, d) -> DataFrame:
+    """Each scan's pieces as axis:anchor*sign and axis:low-high*sign, and the rows that it reads."""
     specs = {x: AnchorSpec.uniform(G1.spec, x) for x in all_subsets("yx")}
     plan = plan_box(G1.spec, specs, BOX, "yx")
-    return s.createDataFrame([("+".join(t.subset) or "cells", str(dict(t.anchors)), str(dict(t.gaps)), t.reads) for t in plan.scans], "scan string, anchors string, gaps string, reads long")
+    anchors = lambda t: " ".join(f"{a}:{q}*{sign}" for a, qs in t.anchors.items() for q, sign in qs)
+    gaps = lambda t: " ".join(f"{a}:{lo}-{hi}*{sign}" for a, gs in t.gaps.items() for lo, hi, sign in gs)
+    return s.createDataFrame([("+".join(t.subset) or "cells", anchors(t), gaps(t), t.reads) for t in plan.scans], "scan string, anchors string, gaps string, reads long")
 
 
-add("m11_plan", plan_rows)
+# by hand: y [7, 33) in steps of 10 is anchor 3, gaps [30, 33) and -[0, 7); x [2, 9) in steps of 4 anchor 2, [8, 9) and -[0, 2); 1,878 days
+add("m11_plan", plan_rows, """SELECT scan, anchors, gaps, CAST(k * 1878 AS BIGINT) AS reads FROM (VALUES
+  ('cells', '', 'y:30-33*1 y:0-7*-1 x:8-9*1 x:0-2*-1', 10 * 3), ('y', 'y:3*1', 'x:8-9*1 x:0-2*-1', 1 * 3), ('x', 'x:2*1', 'y:30-33*1 y:0-7*-1', 10 * 1), ('y+x', 'y:3*1 x:2*1', '', 1)) v(scan, anchors, gaps, k)""")
 add("m02_subsets", lambda s, d: s.createDataFrame([("+".join(x), len(x)) for x in subsets_for(["yx", "t"], G1.spec)], "subset string, axes int"), "SELECT * FROM (VALUES ('y', 1), ('x', 1), ('t', 1), ('y+x', 2)) v(subset, axes)")
 add_box("m12_global_series", G1, {}, "yx")
 add_box("m13_box_1corner", G1, {"y": (0, 33), "x": (0, 9)}, "yx")
@@ -115,6 +128,16 @@ add("m20_minmax_prefix", lambda s, d: query.box_extrema(G1.cells(s, d), G1.spec,
 add("m20_minmax_blocks", lambda s, d: query.box_extrema(G1.cells(s, d), G1.spec, {"y": (7, 33)}, "y", "blocks"), _EXTREMA.format(sql=G1.sql, keys="x, t", where="y >= 7 AND y < 33"))
 
 
+def stored_extrema(s, d) -> DataFrame:
+    """A long range through two stored blocks a line."""
+    root, cells = io.scratch(s, "extrema"), G1.cells(s, d)
+    io.write_extrema(cells, G1.spec, root, "t", "blocks")
+    return query.box_extrema(cells, G1.spec, PERIOD, "t", "blocks", io.read_extrema(s, G1.spec, root, "t", "blocks"))
+
+
+add("m20_minmax_stored", stored_extrema, _EXTREMA.format(sql=G1.sql, keys="y, x", where="t >= 123 AND t < 2001"))
+
+
 # -- catalog ------------------------------------------------------------------------------------------------
 
 
@@ -122,11 +145,11 @@ def example_catalog() -> AnchorCatalog:
     """Weighted data and weights for {y}, {x}, {t} and {y, x}; the other combinations are absent."""
     out = AnchorCatalog(G1.spec)
     for x in ("y", "x", "t", "yx"):
-        out.add(AnchorSpec.uniform(G1.spec, tuple(x), {"y": 1, "x": 3, "t": 2} if x == "yx" else 1), f"acc_{x}", ("weighted", "weight"))
+        out.add(AnchorSpec.uniform(G1.spec, tuple(x), {"y": 1, "x": 3, "t": 2} if x == "yx" else 1), ("weighted", "weight"))
     return AnchorCatalog.from_json(out.to_json())
 
 
-add("m21_catalog_rows", lambda s, d: s.createDataFrame([("+".join(x), k, p) for x, k, p, _ in example_catalog().rows()], "subset string, kind string, path string"), "SELECT a AS subset, k AS kind, 'acc_' || replace(a, '+', '') AS path FROM (VALUES ('y'), ('x'), ('t'), ('y+x')) v(a), (VALUES ('weighted'), ('weight')) w(k)")
+add("m21_catalog_rows", lambda s, d: s.createDataFrame([("+".join(x), k, p) for x, k, p, _ in example_catalog().rows()], "subset string, kind string, path string"), "SELECT a AS subset, k AS kind, p || replace(a, '+', '_') AS path FROM (VALUES ('y'), ('x'), ('t'), ('y+x')) v(a), (VALUES ('weighted', 'acc_weighted_'), ('weight', 'acc_wt_')) w(k, p)")
 
 
 def lookups(s, d) -> DataFrame:
@@ -135,7 +158,7 @@ def lookups(s, d) -> DataFrame:
     return s.createDataFrame([("+".join(a), k, c.find(a, k)) for a, k in asked], "asked string, kind string, path string")
 
 
-add("m22_lookup", lookups, "SELECT * FROM (VALUES ('x+y', 'weighted', 'acc_yx'), ('y+x', 'weight', 'acc_yx'), ('t', 'weighted', 'acc_t'), ('t+y', 'weighted', NULL), ('y', 'plain', NULL)) v(asked, kind, path)")
+add("m22_lookup", lookups, "SELECT * FROM (VALUES ('x+y', 'weighted', 'acc_weighted_y_x'), ('y+x', 'weight', 'acc_wt_y_x'), ('t', 'weighted', 'acc_weighted_t'), ('t+y', 'weighted', NULL), ('y', 'plain', NULL)) v(asked, kind, path)")
 add("m23_tile_to_anchor", lambda s, d: s.range(50).select(F.col("id").cast("int").alias("tile"), F.floor(F.col("id") / example_catalog().stride("yx")["x"]).cast("int").alias("anchor")), "SELECT CAST(k AS INT) AS tile, CAST(k // 3 AS INT) AS anchor FROM range(50) v(k)")
 add_box("m25_mixed_strides", G1, BOX, "yx", stride={("y",): {"y": 2}, ("x",): {"x": 1}, ("y", "x"): {"y": 1, "x": 2}})
 add_box("m26_small_box", G1, {"y": (11, 18), "x": (4, 8)}, "yx")
@@ -169,6 +192,7 @@ def many_sql(over: str, n: int, some: str = "TRUE") -> str:
     return f"WITH cells AS ({G1.sql}), boxes AS ({boxes_sql(n)}) SELECT box_id{keys}, CAST(sum(sx) AS BIGINT) AS s, CAST(sum(n) AS BIGINT) AS n, CAST(sum(sx) AS DOUBLE) / CAST(any_value({size}) AS DOUBLE) AS avg FROM boxes b JOIN cells c ON {inside} WHERE {some} GROUP BY box_id{keys}"
 
 
+add("m27_many_boxes_nearest", lambda s, d: query.box_average_many(store_of(s, d, G1, [("y",), ("x",), ("y", "x"), ("t",)]), boxes(s, 1000), "yxt", mode="nearest"), many_sql("yxt", 1000))
 add("m27_many_boxes", lambda s, d: query.box_average_many(store_of(s, d, G1, all_subsets("yxt")), boxes(s, 1000), "yxt"), many_sql("yxt", 1000))
 
 # -- upkeep and storage -------------------------------------------------------------------------------------
@@ -211,6 +235,16 @@ def stored(s, d) -> DataFrame:
 
 add("m30_stored_series", stored, box_sql(G1, REGION, "yx"))
 
+
+def stored_weights(s, d) -> DataFrame:
+    """Weighted data and weights as arrays of their own, found by the attributes."""
+    root = io.scratch(s, "weights")
+    io.write_store(store_of(s, d, G1_MORE, all_subsets("yx")), root, ("weighted", "weight"), with_cells=False)
+    return query.area_series(io.read_store(s, root, G1_MORE.cells(s, d)), REGION, divisor="weight")
+
+
+add("m30_stored_weights", stored_weights, box_sql(G1_MORE, REGION, "yx", "weight"))
+
 # -- baselines ----------------------------------------------------------------------------------------------
 
 add("b1_scan_series", lambda s, d: baseline.scan_average(G1.cells(s, d), G1.spec, REGION, "yx"), box_sql(G1, REGION, "yx"))
@@ -244,40 +278,39 @@ add("c1_nrmsd_map", lambda s, d: accuracy(s, d, PERIOD, "t"), _ACCURATE.format(_
 _SERVICES = [("r",), ("c",), ("t",), ("r", "c")]
 
 
-def _points_sql(strides, of=None) -> str:
+def _points_sql(strides) -> str:
     """Points of the field's tables by arithmetic alone."""
-    n, tile = {"r": 2000, "c": 64, "t": 720}, {"r": 50, "c": 16, "t": 40}
-    if of:
-        n = {"r": of, "c": 64, "t": 720}
+    n, tile = {a: f"CAST({G4.length_sql(a)} AS BIGINT)" for a in "rct"}, {"r": 50, "c": 16, "t": 40}
     rows = []
     for k in strides:
         for s in _SERVICES:
-            terms = " * ".join(f"({n[a]} // ({tile[a]} * {k}))" if a in s else str(n[a]) for a in n)
-            rows.append(f"SELECT '{'_'.join(s)}' AS subset, {k} AS stride, CAST({terms} AS BIGINT) AS points, CAST({terms} AS DOUBLE) / CAST({n['r'] * n['c'] * n['t']} AS DOUBLE) AS fraction")
+            terms = " * ".join(f"({n[a]} // ({tile[a]} * {k}))" if a in s else n[a] for a in n)
+            rows.append(f"SELECT '{'_'.join(s)}' AS subset, {k} AS stride, CAST({terms} AS BIGINT) AS points, CAST({terms} AS DOUBLE) / CAST({' * '.join(n.values())} AS DOUBLE) AS fraction")
     return " UNION ALL ".join(rows)
 
 
-def sweep(s, strides, grid=G4) -> DataFrame:
-    rows = [("_".join(x), k, points(grid.spec, spec), points(grid.spec, spec) / grid.spec.cells) for k in strides for x in _SERVICES for spec in [AnchorSpec.uniform(grid.spec, x, k)]]
+def sweep(s, d, strides) -> DataFrame:
+    grid = G4.sized(s, d)
+    rows = [("_".join(x), k, points(grid, spec), points(grid, spec) / grid.cells) for k in strides for x in _SERVICES for spec in [AnchorSpec.uniform(grid, x, k)]]
     return s.createDataFrame(rows, "subset string, stride int, points long, fraction double")
 
 
-add("c5_overhead_points", lambda s, d: sweep(s, (2,)), _points_sql((2,)))
-add("c10_stride_sweep", lambda s, d: sweep(s, (1, 2, 4, 8)), _points_sql((1, 2, 4, 8)))
+add("c5_overhead_points", lambda s, d: sweep(s, d, (2,)), _points_sql((2,)))
+add("c10_stride_sweep", lambda s, d: sweep(s, d, (1, 2, 4, 8)), _points_sql((1, 2, 4, 8)))
 
 
 def reads(s, d) -> DataFrame:
     """What the plan expects to read, and what its scans find, on the dense field."""
     store = store_of(s, d, G4, all_subsets("rc"))
     box = {"r": (3, 77), "c": (5, 59), "t": (100, 200)}
-    plan = plan_box(G4.spec, store.specs, box, "rc")
+    plan = plan_box(store.grid, store.specs, box, "rc")
     found = measure.union(query.scan_term(store, t, ["n"]).agg(F.count("*").alias("found")).select(F.lit("+".join(t.subset) or "cells").alias("scan"), F.lit(t.reads).alias("planned"), "found") for t in plan.scans)
     return found.withColumn("planned", F.col("planned").cast("long"))
 
 
 # r: anchor 1, gaps [50, 77) and [0, 3); c: anchor 3, gaps [48, 59) and [0, 5); 100 slices
 add("c9_cells_read", reads, "SELECT scan, CAST(k AS BIGINT) AS planned, CAST(k AS BIGINT) AS found FROM (VALUES ('cells', (27 + 3) * (11 + 5) * 100), ('r', 1 * (11 + 5) * 100), ('c', (27 + 3) * 1 * 100), ('r+c', 1 * 1 * 100)) v(scan, k)")
-add("c8_tiles_touched", lambda s, d: s.createDataFrame([(plan_box(G4.spec, {x: AnchorSpec.uniform(G4.spec, x) for x in all_subsets("rc")}, {"r": (3, 77), "c": (5, 59), "t": (100, 200)}, "rc").tiles(G4.spec),)], "tiles long"), "SELECT count(DISTINCT (r // 50, c // 16, t // 40)) AS tiles FROM range(2000) a(r), range(64) b(c), range(100, 200) k(t) WHERE (r < 3 OR r >= 50 AND r < 77) AND (c < 5 OR c >= 48 AND c < 59)")
+add("c8_tiles_touched", lambda s, d: s.createDataFrame([(plan_box(G4.spec, {x: AnchorSpec.uniform(G4.spec, x) for x in all_subsets("rc")}, {"r": (3, 77), "c": (5, 59), "t": (100, 200)}, "rc").tiles(G4.spec),)], "tiles long"), "SELECT count(DISTINCT (r // 50, c // 16, t // 40)) AS tiles FROM range(500) a(r), range(64) b(c), range(100, 200) k(t) WHERE (r < 3 OR r >= 50 AND r < 77) AND (c < 5 OR c >= 48 AND c < 59)")
 
 
 def top(s, d) -> DataFrame:

@@ -47,7 +47,7 @@ add("o07_range_join", range_join, f"WITH cells AS ({G1.sql}), boxes AS ({boxes_s
 
 def asof(s, d) -> DataFrame:
     """For wanted anchors of each line the latest one stored in the sparse layout, in one window over both."""
-    sparse = build_anchor(G2.cells(s, d), G2.spec, AnchorSpec.uniform(G2.spec, ("t",)), layout="sparse")
+    sparse = build_anchor(G2.cells(s, d), G2.sized(s, d), AnchorSpec.uniform(G2.spec, ("t",)), layout="sparse")
     lines = sparse.select("u").distinct().crossJoin(s.createDataFrame([(5,), (17,), (29,)], "q_t int"))
     both = sparse.select("u", "q_t", "sx", F.lit(0).alias("asked")).unionByName(lines.select("u", "q_t", F.lit(None).cast("long").alias("sx"), F.lit(1).alias("asked")))
     w = Window.partitionBy("u").orderBy("q_t", "asked").rowsBetween(Window.unboundedPreceding, Window.currentRow)
@@ -62,7 +62,16 @@ def tiles(cells: DataFrame) -> DataFrame:
     return cells.select(*(F.floor(F.col(a) / k).cast("int").alias(f"t{a}") for a, k in (("y", 10), ("x", 4), ("t", 50)))).distinct()
 
 
-add("o09_semi_tiles", lambda s, d: G1.cells(s, d).join(boxes(s, 30), F.expr("y >= y_lo and y < y_hi and x >= x_lo and x < x_hi and t >= t_lo and t < t_hi"), "left_semi").agg(F.count("*").alias("n"), F.sum("sx").alias("s")), f"WITH cells AS ({G1.sql}), boxes AS ({boxes_sql(30)}) SELECT count(*) AS n, CAST(sum(sx) AS BIGINT) AS s FROM cells WHERE EXISTS (SELECT 1 FROM boxes WHERE y >= y_lo AND y < y_hi AND x >= x_lo AND x < x_hi AND t >= t_lo AND t < t_hi)")
+def semi(s, d) -> DataFrame:
+    """Cells in any of some boxes: an equi-join on the tiles along t that a box touches, then its bounds."""
+    tile = 50
+    spelt = boxes(s, 30).select("y_lo", "y_hi", "x_lo", "x_hi", "t_lo", "t_hi", F.explode(F.sequence(F.floor(F.col("t_lo") / tile), F.floor((F.col("t_hi") - 1) / tile))).alias("at"))
+    cells = G1.cells(s, d).withColumn("tile", F.floor(F.col("t") / tile))
+    held = F.expr("tile = at and y >= y_lo and y < y_hi and x >= x_lo and x < x_hi and t >= t_lo and t < t_hi")
+    return cells.join(spelt, held, "left_semi").agg(F.count("*").alias("n"), F.sum("sx").alias("s"))
+
+
+add("o09_semi_tiles", semi, f"WITH cells AS ({G1.sql}), boxes AS ({boxes_sql(30)}) SELECT count(*) AS n, CAST(sum(sx) AS BIGINT) AS s FROM cells WHERE EXISTS (SELECT 1 FROM boxes WHERE y >= y_lo AND y < y_hi AND x >= x_lo AND x < x_hi AND t >= t_lo AND t < t_hi)")
 
 
 def all_tiles(s) -> DataFrame:
@@ -86,7 +95,7 @@ add("o12_anchor_diff", anchor_difference, _SHIP + "SELECT y, x, CAST(t // 50 AS
 
 # -- aggregation --------------------------------------------------------------------------------------------
 add("o13_distinct_tiles", lambda s, d: tiles(G1.cells(s, d)).groupBy("ty").agg(F.count_distinct("tx", "tt").alias("n")), _SHIP + f"SELECT ty, count(*) AS n FROM ({_TILES} FROM cells) GROUP BY ty")
-add("o13_approx_distinct", lambda s, d: G1.cells(s, d).groupBy("y").agg(F.approx_count_distinct("t", 0.02).alias("n")))
+add("o13_approx_distinct", lambda s, d: G1.cells(s, d).groupBy("y").agg(F.count_distinct("t").alias("n"), F.approx_count_distinct("t", 0.02).alias("about")).select("y", "n", (F.abs(F.col("about") - F.col("n")) <= 0.1 * F.col("n") + 1).alias("close")), _SHIP + "SELECT y, count(DISTINCT t) AS n, TRUE AS close FROM cells GROUP BY y")
 _SETS = "SELECT ty, tx, CAST(sum(sx) AS BIGINT) AS s, CAST(grouping(ty) * 2 + grouping(tx) AS BIGINT) AS g FROM (SELECT CAST(y // 10 AS INT) AS ty, CAST(x // 4 AS INT) AS tx, sx FROM cells) GROUP BY "
 
 

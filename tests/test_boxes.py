@@ -114,6 +114,38 @@ def test_patched_tile_sums_to_every_prefix(spark, cube):
         assert {tuple(x.role) for x in patched} == {(), ("a",), ("b",), ("a", "b")}
 
 
+@pytest.mark.parametrize("stride", [1, {("a",): {"a": 2}, ("b",): {"b": 1}, ("a", "b"): {"a": 3, "b": 2}}, {("a",): {"a": 2}, ("c",): {"c": 3}}])
+def test_patched_tiles_of_any_catalog(spark, stride):
+    grid = GridSpec("p", (AxisSpec("a", 14, 1), AxisSpec("b", 8, 2), AxisSpec("c", 9, 1)))
+    r = random.Random(9)
+    rows = [(i, j, k, r.randint(-9, 9), 1) for i in range(14) for j in range(8) for k in range(9) if r.random() < 0.5 and i > 2]
+    cells = spark.createDataFrame(rows, "a int, b int, c int, sx long, n long").cache()
+    subsets = all_subsets("ab") if stride == 1 else list(stride)
+    store = AnchorStore.build(cells, grid, subsets, stride)
+    steps = {"a": 1, "b": 2, "c": 1} if stride == 1 else {"a": 6, "b": 4, "c": 1} if ("a", "b") in stride else {"a": 2, "b": 2, "c": 1}
+    over = set("ab") if ("a", "b") in store.specs else {"a"}
+    for tile in ({"a": 1, "b": 1, "c": 2}, {"a": 2, "b": 0, "c": 0}, {"a": 0, "b": 0, "c": 8}):
+        if any(tile[x] * steps[x] >= grid[x].n for x in "abc"):
+            with pytest.raises(SpecError):
+                query.patched_tile(store, tile, "ab")
+            continue
+        got = query.patched_tile(store, tile, "ab").collect()
+        first = {x: tile[x] * steps[x] for x in "abc"}
+        for end in ({x: min(first[x] + steps[x], grid[x].n) - 1 for x in "abc"}, {"a": first["a"], "b": first["b"], "c": first["c"]}):
+            s = sum(x.value for x in got if x.a <= end["a"] and x.b <= end["b"] and x.c <= end["c"])
+            assert s == sum(v for i, j, k, v, _ in rows if all((x in over or first[x] <= at) and at <= end[x] for x, at in zip("abc", (i, j, k), strict=True))), (tile, end)
+
+
+def test_patched_tiles_of_empty_tables(spark, cube):
+    cells, rows = cube
+    nothing = AnchorStore.build(cells, CUBE, [])
+    assert sum(x.value for x in query.patched_tile(nothing, {"a": 0, "b": 0, "c": 0}, "abc").collect()) == sum(v for i, j, k, v, _ in rows if i < 2 and j < 3 and k < 2)
+    late = cells.where("a >= 6 and b >= 6 and c >= 10")
+    store = AnchorStore.build(late, CUBE, all_subsets("abc"))
+    got = query.patched_tile(store, {"a": 1, "b": 1, "c": 1}, "abc")
+    assert got.count() == 2 * 3 * 2 and {x.value for x in got.collect()} == {0}
+
+
 def test_append_and_repair_equal_a_rebuild(cube):
     cells, _ = cube
     whole = AnchorStore.build(cells, CUBE, all_subsets("abc"))
@@ -141,6 +173,48 @@ def test_weights_missing_cells_and_empty_lines(spark):
     assert full == {0: (12, 2.0), 1: (0, None), 2: (9, 1.5), 3: (4, 4 / 6)}
 
 
+def brute_ends(rows, axis, lo, hi):
+    out = {}
+    for *at, v, _ in rows:
+        i = CUBE.names.index(axis)
+        if lo <= at[i] < hi:
+            key = tuple(x for k, x in enumerate(at) if k != i)
+            mn, mx = out.get(key, (v, v))
+            out[key] = (min(mn, v), max(mx, v))
+    return out
+
+
+def ends(df, axis):
+    return {tuple(r[a] for a in CUBE.names if a != axis): (r.mn, r.mx) for r in df.collect()}
+
+
+def test_stored_extrema(spark, cube, tmp_path):
+    cells, rows = cube
+    for method in ("tiles", "prefix", "blocks"):
+        io.write_extrema(cells, CUBE, f"file://{tmp_path}", "c", method)
+        table = io.read_extrema(spark, CUBE, f"file://{tmp_path}", "c", method)
+        assert ends(query.box_extrema(cells, CUBE, {"c": (0, 9)}, "c", method, table), "c") == brute_ends(rows, "c", 0, 9)
+    # a run of tiles is two rows a line, however long
+    blocks = io.read_extrema(spark, CUBE, f"file://{tmp_path}", "c", "blocks")
+    assert blocks.where("level = 2 and tile_c in (0, 1)").groupBy("a", "b").count().agg(F.max("count")).first()[0] == 2
+    with pytest.raises(SpecError):
+        io.read_extrema(spark, GridSpec("cube", (*CUBE.axes[:2], AxisSpec("c", 11, 3))), f"file://{tmp_path}", "c", "blocks")
+    with pytest.raises(SpecError):
+        query.build_extrema(cells, CUBE, "ab", "blocks")
+
+
+def test_variance_of_very_many_cells(spark):
+    grid = GridSpec("v", (AxisSpec("d", 4, 2),), ("sx", "n", "p", "sxx"))
+    # 10^11 cells that are 3 and as many that are 5; then numbers beyond 38 digits
+    for k, tell in ((10**11, 1.0), (10**17, 1.0)):
+        cells = spark.createDataFrame([(0, 3 * k, k, k, str(9 * k)), (1, 5 * k, k, k, str(25 * k))], "d int, sx long, n long, p long, sxx string").withColumn("sxx", F.col("sxx").cast("decimal(38,0)"))
+        row = query.box_moments(AnchorStore.build(cells, grid, [("d",)]), {"d": (0, 2)}, "d").first()
+        assert (row.p, row.mean, row.variance) == (2 * k, 4.0, tell)
+    big = spark.createDataFrame([(0, 10**9, 10**9, 10**9, str(10**36))], "d int, sx long, n long, p long, sxx string").withColumn("sxx", F.col("sxx").cast("decimal(38,0)"))
+    row = query.box_moments(AnchorStore.build(big, grid, [("d",)]), {"d": (0, 1)}, "d").first()
+    assert row.variance == pytest.approx(1e27)
+
+
 def test_moments_and_extrema(spark, cube):
     cells, rows = cube
     wide = GridSpec("cube", CUBE.axes, ("sx", "n", "p", "sxx"))
@@ -158,6 +232,11 @@ def test_moments_and_extrema(spark, cube):
     blocks = {(r.b, r.c): (r.mn, r.mx) for r in query.box_extrema(cells, CUBE, {"a": (1, 6)}, "a", "blocks").collect()}
     tiles = {(r.b, r.c): (r.mn, r.mx) for r in query.box_extrema(cells, CUBE, {"a": (1, 6)}, "a").collect()}
     assert blocks == tiles
+    for a, size in (("a", 7), ("b", 8), ("c", 11)):
+        for lo, hi in ((0, size), (1, size), (0, size - 1), (2, 4), (3, 5), (1, 2), (0, 1)):
+            want = brute_ends(rows, a, lo, hi)
+            for method in ("tiles", "blocks", *(["prefix"] if lo == 0 else [])):
+                assert ends(query.box_extrema(cells, CUBE, {a: (lo, hi)}, a, method), a) == want, (a, lo, hi, method)
     with pytest.raises(SpecError):
         query.box_extrema(cells, CUBE, {"a": (1, 6)}, "a", "prefix")
     with pytest.raises(SpecError):
@@ -171,6 +250,8 @@ def test_stored_tables_answer_with_pushed_filters(spark, cube, tmp_path):
     catalog = io.write_store(store, root)
     again = io.read_store(spark, root)
     assert catalog.rows() and again.specs == store.specs
+    assert {s: e["rows"] for s, e in catalog.entries.items()} == {s: t.count() for s, t in store.tables.items()}
+    assert all(sorted(map(tuple, again.tables[s].select(t.columns).collect())) == sorted(map(tuple, t.collect())) for s, t in store.tables.items())
     box = {"a": (1, 6), "b": (2, 7), "c": (3, 9)}
     out = query.box_sum(again, box, "ab")
     assert got(out, "ab") == brute(rows, box, "ab")
@@ -179,6 +260,34 @@ def test_stored_tables_answer_with_pushed_filters(spark, cube, tmp_path):
     assert "ReadSchema" in plan and "CartesianProduct" not in plan
 
 
+def test_groups_of_weighted_arrays_and_weights(spark, tmp_path):
+    grid = GridSpec("w", (AxisSpec("latitude", 10, 3), AxisSpec("longitude", 6, 2), AxisSpec("time", 4, 2)), ("sx", "n", "sw", "swx"))
+    r = random.Random(3)
+    rows = [(i, j, k, r.randint(-9, 9), 1, r.randint(0, 3)) for i in range(10) for j in range(6) for k in range(4) if r.random() < 0.8]
+    cells = spark.createDataFrame([(i, j, k, v, n, w, w * v) for i, j, k, v, n, w in rows], "latitude int, longitude int, time int, sx long, n long, sw long, swx long")
+    root = f"file://{tmp_path}/w"
+    services = [("latitude",), ("longitude",), ("time",), ("latitude", "longitude")]
+    io.write_store(AnchorStore.build(cells, grid, services, {("latitude",): {"latitude": 1}, ("latitude", "longitude"): {"latitude": 1, "longitude": 3}}), root, ("weighted", "weight"))
+    tree = io.read_json(spark, f"{root}/{io.GROUP_FOLDER}/attributes")["_ACCUMULATION_GROUP"]
+    assert tree["latitude"]["longitude"] == {"_DATA_WEIGHTED": "acc_weighted_latitude_longitude", "_WEIGHTS": "acc_wt_latitude_longitude", "time": {}} and tree["longitude"]["time"] == {}
+    both = io.read_json(spark, f"{root}/{io.GROUP_FOLDER}/acc_wt_latitude_longitude/attributes")
+    assert both == {"_ARRAY_DIMENSIONS": ["latitude", "longitude", "time"], "_ACCUMULATION_STRIDE": [1, 3, 0]}
+    assert set(spark.read.parquet(f"{root}/{io.GROUP_FOLDER}/acc_wt_time/data").columns) == {"q_time", "latitude", "longitude", "sw"}
+    store = io.read_store(spark, root)
+    assert set(store.specs) == set(services) and store.in_parts
+    for over, box in ((("latitude", "longitude"), {"latitude": (1, 8), "longitude": (2, 6)}), (("time",), {"time": (0, 2)}), (("time",), {"time": (1, 4)})):
+        got = {tuple(x[a] for a in grid.names if a not in over): (x.s, x.avg) for x in query.box_average(store, box, over, divisor="weight").collect()}
+        want = {}
+        for i, j, k, v, _, w in rows:
+            at = dict(zip(grid.names, (i, j, k), strict=True))
+            if all(lo <= at[a] < hi for a, (lo, hi) in box.items()):
+                s, t = want.get(key := tuple(at[a] for a in grid.names if a not in over), (0, 0))
+                want[key] = (s + w * v, t + w)
+        assert got == {key: (s, s / t if t else None) for key, (s, t) in want.items()}
+    with pytest.raises(SpecError):
+        io.write_store(AnchorStore.build(cells.drop("sw", "swx"), GridSpec("w", grid.axes), services), root, ("weighted",))
+
+
 def test_boxes_that_end_on_anchors_need_no_shuffle(spark, cube, tmp_path):
     cells, rows = cube
     io.write_store(AnchorStore.build(cells, CUBE, all_subsets("ab")), f"file://{tmp_path}/s")
@@ -209,7 +318,50 @@ def test_overflow_is_told(spark):
     assert big.agg(F.try_sum("sx")).first()[0] is None
 
 
-def test_many_boxes_need_all_tables(spark, cube):
+def test_dense_and_long_lines(spark, monkeypatch):
+    r = random.Random(2)
+    rows = [(k, i, r.randint(-9, 9), 1) for k in range(3) for i in range(40) if r.random() < 0.3 and i > 6 * k]
+    cells = spark.createDataFrame(rows, "k int, d int, sx long, n long")
+    for block in (1 << 16, 4):
+        monkeypatch.setattr(build, "BLOCK", block)
+        dense = {(x.k, x.q_d): x.sx for x in accumulate(cells, ["k"], "d", 3, 40, {"sx": "sum"}, "dense").collect()}
+        assert dense == {(k, q): sum(v for a, i, v, _ in rows if a == k and i < 3 * q) for k in {x[0] for x in rows} for q in range(1, 14)}
+        carried = {(x.k, x.q_d): x.sx for x in accumulate(cells, ["k"], "d", 3, 40, {"sx": "sum"}).collect()}
+        assert carried.items() <= dense.items() and all(v == 0 for k, v in dense.items() if k not in carried)
+    alone = {x.q_d: x.sx for x in accumulate(cells.where("k = 1").drop("k"), [], "d", 3, 40, {"sx": "sum"}, "dense").collect()}
+    assert alone == {q: v for (k, q), v in dense.items() if k == 1}
+    assert accumulate(cells.limit(0), ["k"], "d", 3, 40, {"sx": "sum"}, "dense").count() == 0
+
+
+def test_plans_by_cost_and_mode(spark, cube):
+    cells, rows = cube
+    store = AnchorStore.build(cells, CUBE, all_subsets("abc"))
+    box = {"a": (1, 6), "b": (2, 7), "c": (3, 10)}
+    best = plan_box(CUBE, store.specs, box, "abc", "best").reads()
+    assert best == min(plan_box(CUBE, store.specs, box, "abc", m).reads() for m in ("floor", "nearest"))
+    assert got(query.box_sum(store, box, "abc", "best"), "abc") == brute(rows, box, "abc")
+    store.scan_cost = 10**6
+    assert len(query.plan_of(store, box, "abc").scans) == 1 and got(query.box_sum(store, box, "abc"), "abc") == brute(rows, box, "abc")
+
+
+def test_many_boxes_by_modes_and_partial_catalogs(spark, cube):
+    cells, rows = cube
+    r = random.Random(1)
+    made = []
+    for k in range(12):
+        lows = {x.name: r.randrange(x.n) for x in CUBE.axes}
+        made.append((k, *(v for x in CUBE.axes for v in (lows[x.name], r.randint(lows[x.name] + 1, x.n)))))
+    boxes = spark.createDataFrame(made, "box_id long, a_lo int, a_hi int, b_lo int, b_hi int, c_lo int, c_hi int")
+    full = AnchorStore.build(cells, CUBE, all_subsets("abc"), {"a": 1, "b": 2, "c": 2})
+    for store, over, mode in ((full, "abc", "nearest"), (full.without("abc", "bc"), "abc", "floor"), (full.without("ab"), "ab", "nearest")):
+        out = {}
+        for x in query.box_average_many(store, boxes, over, mode=mode).collect():
+            out.setdefault(x.box_id, {})[tuple(x[a] for a in CUBE.names if a not in over)] = (x.s, x.n)
+        for k, *b in made:
+            assert out.get(k, {}) == brute(rows, {x: (b[2 * i], b[2 * i + 1]) for i, x in enumerate("abc")}, over)
+
+
+def test_many_boxes_need_a_table(spark, cube):
     cells, rows = cube
     store = AnchorStore.build(cells, CUBE, all_subsets("ab"))
     boxes = spark.createDataFrame([(1, 1, 6, 2, 7, 3, 9), (2, 0, 7, 0, 8, 0, 11), (3, 2, 3, 4, 5, 0, 2)], "box_id long, a_lo int, a_hi int, b_lo int, b_hi int, c_lo int, c_hi int")
@@ -219,5 +371,5 @@ def test_many_boxes_need_all_tables(spark, cube):
     for b in boxes.collect():
         assert out.get(b.box_id, {}) == brute(rows, {x: (b[f"{x}_lo"], b[f"{x}_hi"]) for x in "abc"}, "ab")
     with pytest.raises(SpecError):
-        query.box_average_many(store.without("ab"), boxes, "ab")
+        query.box_average_many(store.without("a", "b", "ab"), boxes, "ab")
     assert AnchorSpec.uniform(CUBE, "ab").subset == ("a", "b")

@@ -90,15 +90,15 @@ def test_missing_attributes_and_good_ones():
 def test_catalog_round_trip_lookup_and_tree():
     c = AnchorCatalog(GRID)
     for s in (["latitude"], ["longitude"], ["time"], ["longitude", "latitude"]):
-        c.add(AnchorSpec.uniform(GRID, s, 2), "acc_" + "_".join(GRID.order(s)), ("weighted", "weight"))
+        c.add(AnchorSpec.uniform(GRID, s, 2), ("weighted", "weight"))
     again = AnchorCatalog.from_json(c.to_json())
     assert again.rows() == c.rows()
-    assert again.find(["longitude", "latitude"], "weighted") == "acc_latitude_longitude" and again.find(["time"], "plain") is None and again.find(["time", "latitude"], "weight") is None
+    assert again.find(["longitude", "latitude"], "weighted") == "acc_weighted_latitude_longitude" and again.find(["time"], "plain") is None and again.find(["time", "latitude"], "weight") is None
     assert again.anchor_of(["time"], "time", 5) == 2
     tree = again.export_attributes()["_ACCUMULATION_GROUP"]
     assert tree["latitude"]["longitude"]["time"] == {} and tree["latitude"]["longitude"]["_WEIGHTS"] and tree["longitude"]["time"] == {}
     names = AnchorCatalog.import_attributes(again.export_attributes())
-    assert names[("latitude", "longitude"), "weighted"] == "acc_latitude_longitude" and len(names) == 8
+    assert names[("latitude", "longitude"), "weighted"] == "acc_weighted_latitude_longitude" and len(names) == 8
     for bad in ({}, {"x": 1}, {"_ACCUMULATION_GROUP": {"_DATA_WEIGHTED": "a"}}, {"_ACCUMULATION_GROUP": {"a": {"_OTHER": "b"}}}):
         with pytest.raises(SpecError):
             AnchorCatalog.import_attributes(bad)
