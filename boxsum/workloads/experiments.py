@@ -89,8 +89,8 @@ def accuracy_float(s, d) -> DataFrame:
 
 
 _FLOAT = " UNION ALL ".join(
-    f"SELECT '{service}' AS service, '{kind}' AS kind, {size} AS size, CAST(0 AS BIGINT) AS unmatched, {n} AS n, TRUE AS within"
-    for kind in WITHIN for service, n, sizes in (("series", "CAST({} AS BIGINT)", SIZES_FIELD), ("map", "(SELECT CAST(sum(len(embedding)) AS BIGINT) FROM embeddings WHERE vec_id IS NOT NULL)", (*SIZES_FIELD, 669))) for size in sizes for n in [n.format(size)]
+    f"SELECT '{service}' AS service, '{kind}' AS kind, {size} AS size, CAST(0 AS BIGINT) AS unmatched, {k} AS n, TRUE AS within"
+    for kind in WITHIN for service, n, sizes in (("series", "CAST({} AS BIGINT)", SIZES_FIELD), ("map", "(SELECT CAST(sum(len(embedding)) AS BIGINT) FROM embeddings WHERE vec_id IS NOT NULL)", (*SIZES_FIELD, 669))) for size in sizes for k in [n.format(size)]
 )
 add("w05_accuracy_float", accuracy_float, _FLOAT)
 _SERVICES = [("r",), ("c",), ("t",), ("r", "c")]
