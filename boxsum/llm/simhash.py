@@ -202,11 +202,14 @@ def tiles_of(dealt: DataFrame, tile: int) -> DataFrame:
     """(bucket, ranges, tiles) of the buckets with several rows of (bucket, pop).
 
     Rows in order of population count fill the tiles one after another; ranges (one entry for each count that
-    occurs) has the tiles `first`..`last` that rows of a count lie in.
+    occurs) has the tiles `first`..`last` that rows of a count lie in. Tiles hold an eighth of their bucket, but
+    neither more than `tile` rows nor less than an eighth of that: a bucket of some size is several tasks.
     """
     counts = dealt.groupBy("bucket", "pop").agg(F.count("*").alias("n"))
     before = F.sum("n").over(Window.partitionBy("bucket").orderBy("pop")) - F.col("n")
-    placed = counts.select("bucket", "pop", "n", F.floor(before / tile).cast("int").alias("first"), F.floor((before + F.col("n") - 1) / tile).cast("int").alias("last"))
+    eighth = F.ceil(F.sum("n").over(Window.partitionBy("bucket")) / 8)
+    counts = counts.select("bucket", "pop", "n", before.alias("before"), F.least(F.lit(tile), F.greatest(F.lit(-(-tile // 8)), eighth)).alias("tile"))
+    placed = counts.select("bucket", "pop", "n", F.floor(F.col("before") / F.col("tile")).cast("int").alias("first"), F.floor((F.col("before") + F.col("n") - 1) / F.col("tile")).cast("int").alias("last"))
     return cut(placed.groupBy("bucket").agg(F.sum("n").alias("n"), F.max("last").alias("most"), F.collect_list(F.struct("pop", "first", "last")).alias("ranges")).where("n > 1").select("bucket", "ranges", (F.col("most") + 1).alias("tiles")))
 
 
