@@ -47,12 +47,28 @@ def scratch(spark: SparkSession, what: str) -> str:
     return f"{shared_folder(spark).rstrip('/')}/boxsum-{what}-{uuid.uuid4().hex}"
 
 
+def _file(spark: SparkSession, path: str):
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at, at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
 def write_json(spark: SparkSession, path: str, value: object) -> None:
-    spark.createDataFrame([(json.dumps(value, indent=1),)], "value string").coalesce(1).write.mode("overwrite").text(path, lineSep="\0")
+    """A small file of metadata, written by the driver where Spark's other files are."""
+    at, files = _file(spark, path)
+    out = files.create(at, True)
+    try:
+        out.write(bytearray(json.dumps(value, indent=1).encode()))
+    finally:
+        out.close()
 
 
 def read_json(spark: SparkSession, path: str):
-    return json.loads(spark.read.text(path, wholetext=True).first()[0].rstrip("\0"))
+    at, files = _file(spark, path)
+    source = files.open(at)
+    try:
+        return json.loads(bytes(source.readAllBytes()))
+    finally:
+        source.close()
 
 
 def write_cells(cells: DataFrame, grid: GridSpec, path: str, files: int | None = None) -> None:
