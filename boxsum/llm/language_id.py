@@ -35,6 +35,8 @@ PER_LANGUAGE = 3000
 #: A language's floor, as a part of the median known part of its training texts.
 FLOOR = 0.5
 WORD = 60  # languages in a mask word
+#: Most languages that a model can have: the driver holds a row for each.
+LANGUAGES = 4096
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -144,12 +146,20 @@ def _counted(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBat
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(grams), pa.string()), pa.array(grams.view(np.int64)), pa.array(counts, pa.int64())], ["lang", "gram", "n"])
 
 
+def _by_language(counts: DataFrame) -> dict[str, int]:
+    """(lang, n) on the driver; more than LANGUAGES are an error."""
+    rows = counts.limit(LANGUAGES + 1).collect()
+    if len(rows) > LANGUAGES:
+        raise ValueError(f"more than {LANGUAGES} languages")
+    return {r["lang"]: r["n"] for r in rows}
+
+
 def _training(docs: DataFrame, id_col: str, text_col: str, lang_col: str, per_language: int | None) -> DataFrame:
     """(id, text, lang): the rows whose language is not null, or the sample of them."""
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang")).where("lang is not null")
     if per_language is None:
         return rows
-    have = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # a row a language
+    have = _by_language(rows.groupBy("lang").agg(F.count("*").alias("n")))
     if not have:
         return rows
     rate = F.coalesce(F.create_map(*(F.lit(x) for lang, k in have.items() for x in (lang, min(1.0, per_language / k))))[F.col("lang")], F.lit(1.0))
@@ -160,7 +170,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_
     """Fit on rows whose language is not null. The driver gets one number per filled row of the filter, 2**log_rows at most."""
     rows = _training(docs, id_col, text_col, lang_col, per_language)
     counts = cut(rows.select("text", "lang").mapInArrow(lambda it: _counted(it, n), "lang string, gram long, n long").groupBy("gram", "lang").agg(F.sum("n").alias("n")))
-    totals = {r["lang"]: r["n"] for r in counts.groupBy("lang").agg(F.sum("n").alias("n")).collect()}
+    totals = _by_language(counts.groupBy("lang").agg(F.sum("n").alias("n")))
     languages = sorted(totals, key=lambda x: (-totals[x], x))
     if not languages:
         return LanguageModel([], [], np.zeros(0), n, hashes)

@@ -79,8 +79,11 @@ def pack(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text
 
     # ranks: rows before a row in its class, and full stretches before its own, bucket by bucket
     sums = rows.groupBy("class", "bucket").agg(F.count("*").alias("n"), F.sum("full").alias("f"))
-    in_class, in_all = Window.partitionBy("class").orderBy("bucket"), Window.orderBy("class", "bucket")
-    sums = sums.select("class", "bucket", (F.sum("n").over(in_class) - F.col("n")).alias("n_before"), (F.sum("f").over(in_all) - F.col("f")).alias("f_before"))
+    in_class = Window.partitionBy("class").orderBy("bucket")
+    classes_before = F.sum("all").over(Window.orderBy("class")) - F.col("all")  # capacity / grain + 1 rows at most
+    of_classes = sums.groupBy("class").agg(F.sum("f").alias("all")).select("class", classes_before.alias("f_classes"))
+    sums = sums.select("class", "bucket", (F.sum("n").over(in_class) - F.col("n")).alias("n_before"), (F.sum("f").over(in_class) - F.col("f")).alias("f_here")).join(F.broadcast(of_classes), "class")
+    sums = sums.select("class", "bucket", "n_before", (F.col("f_here") + F.col("f_classes")).alias("f_before"))
     in_bucket = Window.partitionBy("class", "bucket").orderBy("row")
     light = rows.select("row", "id", "tokens", "full", "tail", "class", "bucket")
     ranked = light.select("*", (F.row_number().over(in_bucket) - 1).alias("n_here"), (F.sum("full").over(in_bucket) - F.col("full")).alias("f_here")).join(sums, ["class", "bucket"])
@@ -96,7 +99,7 @@ def pack(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text
                 slots.append((c, taken[c], taken[c] + often * k, k, sequences))
                 taken[c] += often * k
         sequences += often
-    # each class's slots in order of rank, found by a binary search in an array: at most one array a class
+    # each class's slots as an array, one a pattern that holds the class; a row is compared with those of its class
     of_class: dict[int, list] = {}
     for c, low, high, k, first in slots:
         of_class.setdefault(c, []).append((low, high, k, first))

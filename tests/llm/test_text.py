@@ -322,6 +322,14 @@ def test_language_stage_drops_foreign_texts(spark):
     assert not kept & set(held) and len(kept) > 0.95 * docs.count()
 
 
+def test_languages_are_bounded(spark, monkeypatch):
+    monkeypatch.setattr(language_id, "LANGUAGES", 2)
+    docs = spark.createDataFrame(language_rows(40), "doc_id long, text string, lang string")
+    for per_language in (None, 10):
+        with pytest.raises(ValueError, match="languages"):
+            language_id.train(docs, per_language=per_language)
+
+
 def test_bloom_rows_hold_every_language():
     masks = np.zeros(1 << 10, np.uint64)
     h = np.random.default_rng(0).integers(0, 1 << 63, 60, np.uint64)
@@ -418,3 +426,121 @@ def test_scores_against_a_plain_computation(spark):
         a, b = odds(model.text, text), odds(model.meta, meta)
         want = [1 / (1 + np.exp(-max(-30.0, min(30.0, v)))) for v in (a, b, a + b - model.base)]
         assert [r.text_score, r.meta_score, r.score] == pytest.approx(want, abs=1e-9) and r.kept == (r.score >= 0.5)
+
+
+# -- against plain computations -----------------------------------------------------------------------------
+
+
+def plain_png(image):
+    """Samples of an 8-bit grey PNG, byte by byte as the format has it."""
+    at, stream = 8, b""
+    while at < len(image):
+        size, kind = struct.unpack(">I4s", image[at : at + 8])
+        data = image[at + 8 : at + 8 + size]
+        assert zlib.crc32(kind + data) == struct.unpack(">I", image[at + 8 + size : at + 12 + size])[0]
+        if kind == b"IHDR":
+            width, height = struct.unpack(">II", data[:8])
+        stream += data if kind == b"IDAT" else b""
+        at += 12 + size
+    raw, rows = zlib.decompress(stream), []
+    for y in range(height):
+        kind, line = raw[y * (width + 1)], raw[y * (width + 1) + 1 : (y + 1) * (width + 1)]
+        row = []
+        for x, v in enumerate(line):
+            a, b, c = (row[x - 1] if x else 0), (rows[-1][x] if y else 0), (rows[-1][x - 1] if x and y else 0)
+            p = a + b - c
+            near = min((abs(p - a), 0, a), (abs(p - b), 1, b), (abs(p - c), 2, c))[2]
+            row.append((v + (0, a, b, (a + b) // 2, near)[kind]) & 255)
+        rows.append(row)
+    return rows
+
+
+def plain_hash(rows, grid=32, low=8):
+    """Means of cells, their cosine transform, and a bit for each low frequency above the median."""
+    h, w = len(rows), len(rows[0])
+    cells = []
+    for i in range(grid):
+        ys = range(i * h // grid, max((i + 1) * h // grid, i * h // grid + 1))
+        xs = [range(j * w // grid, max((j + 1) * w // grid, j * w // grid + 1)) for j in range(grid)]
+        cells.append([sum(rows[y][x] for y in ys for x in r) / len(ys) / len(r) for r in xs])
+    cos = [[np.cos(np.pi * k * (2 * x + 1) / (2 * grid)) for x in range(grid)] for k in range(low)]
+    f = [round(sum(cos[u][y] * cos[v][x] * cells[y][x] for y in range(grid) for x in range(grid)), 6) for u in range(low) for v in range(low)][1:]
+    middle = sorted(f)[len(f) // 2]
+    return f"{int(''.join(['0', *('1' if v > middle else '0' for v in f)]), 2):016x}"
+
+
+def test_media_query_against_a_plain_reader(spark, tmp_path):
+    texts = [None, "", "a", "Some words of text, again and again. " * 30, "é漢" * 700, "x" * 64, "\n".join(random_texts(30)), "b" * 70_000]
+    spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    images = {r.doc_id: bytes(r.media) for r in media.store(spark.read.parquet(f"{tmp_path}/documents.parquet")).collect()}
+    for r in QUERIES["op6_media"](spark, str(tmp_path)).collect():
+        raw = (texts[r.doc_id] or "").encode()
+        payload = raw + bytes(max(64, -(-len(raw) // 64) * 64) - len(raw))
+        rows_ = plain_png(images[r.doc_id])
+        assert bytes(v for row in rows_ for v in row) == payload
+        assert (r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(raw), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]))
+        assert (r.media_bytes, r.media_sha256) == (len(images[r.doc_id]), hashlib.sha256(images[r.doc_id]).hexdigest())
+        if len(raw) < 5000:
+            differ = int(r.feature, 16) ^ int(plain_hash(rows_), 16)
+            assert differ.bit_count() <= 1  # a frequency at the median may fall to either side by rounding
+    many = "\n".join("".join(map(chr, range(32, 127))) for _ in range(40)).encode()
+    for kind in range(5):
+        image = media.write_png(media.pad(many), 64, ((kind,),))
+        assert bytes(v for row in plain_png(image) for v in row) == media.pad(many)
+
+
+def plain_ngrams(text, n=4):
+    """Letters in lower case, a space for each run of others, n spaces in front."""
+    clean, held = [], False
+    for c in (text or "").lower() + " ":
+        if c.isalpha():
+            clean.append(c)
+            held = True
+        elif held:
+            clean.append(" ")
+            held = False
+    clean = " " * n + "".join(clean)
+    return [clean[i : i + n] for i in range(len(clean) - n + 1) if clean[i : i + n].strip()]
+
+
+def test_languages_against_plain_sets(spark):
+    """Predictions, scores and known parts from exact sets of n-grams; filters of 2**22 rows hold few that are not there."""
+    from collections import Counter
+
+    data = language_rows(160)
+    docs = spark.createDataFrame(data, "doc_id long, text string, lang string")
+    model = language_id.train(docs.where("doc_id % 4 <> 2"), per_language=None, log_rows=22)
+    counts = {}
+    for i, t, lang in data:
+        if i % 4 != 2 and lang is not None:
+            counts.setdefault(lang, Counter()).update(plain_ngrams(t))
+    total = {k: sum(c.values()) for k, c in counts.items()}
+    held = {k: {g for g, c in counts[k].items() if c >= 3 and c / total[k] >= 0.25 * max(counts[m][g] / total[m] for m in counts)} for k in counts}
+    order = sorted(counts, key=lambda k: (-total[k], k))
+    assert model.languages == order
+    got = {r.doc_id: r for r in language_id.identify(docs, model).collect()}
+    _, _, known = model.judge([t for _, t, _ in data])
+    for (i, t, _), part in zip(data, known, strict=True):
+        grams = plain_ngrams(t)
+        hits = {k: sum(g in held[k] for g in grams) for k in order}
+        if not any(c.isalpha() for c in t or ""):
+            assert (got[i].lang_pred, got[i].score) == ("und", 0)
+            continue
+        best = max(order, key=lambda k: (hits[k], -order.index(k)))
+        assert got[i].lang_pred == best and got[i].score == pytest.approx(hits[best] / max(1, sum(hits.values())), abs=1e-3)
+        assert part == pytest.approx(sum(any(g in held[k] for k in order) for g in grams) / len(grams), abs=1e-3)
+
+
+def test_very_long_texts_clashing_columns_and_repeated_rows(spark):
+    long = "word and other words " * 60_000
+    schema = "doc_id long, text string, lang string, source string, n_chars long, known double, kept boolean, score double, x string, lang_pred string, held_out boolean"
+    docs = spark.createDataFrame([(i, t, "en", "s", None, 0.5, True, 1.0, "x", "y", False) for i, t in [(1, long), (1, long), (2, "word and other"), (None, None), (3, "")]], schema)
+    model = language_id.train(docs, per_language=None, log_rows=12)
+    assert sorted((r.doc_id or 0, r.lang_pred) for r in language_id.identify(docs, model).collect()) == [(0, "und"), (1, "en"), (1, "en"), (2, "en"), (3, "und")]
+    kept = language_id.keep_identified(docs, language_id.with_floors(model, docs, per_language=None))
+    assert kept.columns == docs.columns and sorted(r.doc_id for r in kept.select("doc_id").collect()) == [1, 1, 2]
+    labels = spark.createDataFrame([(1, 1), (2, 0)], "doc_id long, quality int")
+    quality_model = quality.train(docs, labels)
+    assert quality.score(docs, quality_model).count() == 5 and quality.keep_good(docs, quality_model).columns == docs.columns
+    found = secret_scan.find_secrets(docs.withColumn("spans", F.lit(1)).withColumn("text", F.concat("text", F.lit(" password=abcdefgh12"))))
+    assert sorted(len(r.spans) for r in found.collect()) == [0, 1, 1, 1, 1]
