@@ -61,7 +61,7 @@ SECTION = IN_ARTICLE | IN_MAIN | IN_HEADER | AROUND_TAG | AROUND_NAME
 
 # Capacities in tenths of a nat. Weights of the classifier, positive for content, as `fit` finds them on the labelled
 # pages of the tests; edges by hand.
-WEIGHTS = {"bias": 11, "article": 56, "main": 54, "good_name": 33, "header": -44, "heading": 35, "links": -63, "long": 31, "middle": 18, "short": -22, "sentence": 1, "cell": -4, "bare": 0, "around_tag": -61, "around_name": -80, "mark": -34}
+WEIGHTS = {"bias": 11, "article": 56, "main": 54, "good_name": 33, "header": -57, "heading": 42, "links": -61, "long": 29, "middle": 16, "short": -22, "sentence": 1, "cell": -4, "bare": 0, "around_tag": -60, "around_name": -79, "mark": -34}
 NEXT, SIBLING, ACROSS = 20, 10, 2
 
 
@@ -258,7 +258,7 @@ def features(b: Block) -> dict[str, float]:
     heading = b.tag in HEADINGS
     if b.around & IN_HEADER and not (heading and b.around & (IN_ARTICLE | IN_MAIN)):
         out["header"] = 1.0
-    if heading:
+    elif heading and not against:  # the name of a site or of a section apart is no title
         out["heading"] = 1.0
     if b.text.endswith(ENDS):
         out["sentence"] = 1.0

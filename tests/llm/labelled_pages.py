@@ -35,7 +35,7 @@ def links(r: random.Random, n: int) -> str:
 
 
 def article(r):
-    return f"<html><body><header><h1>{few(r, 2)}</h1>{links(r, 4)}</header><article><h1>⟦{few(r, 5)}⟧</h1>{paragraphs(r, 5)}<div class='ad-slot'>{few(r, 3)}</div><h2>⟦{few(r, 2)}⟧</h2>{paragraphs(r, 3)}<ul><li>⟦{few(r, 3)}⟧</li><li>⟦{prose(r, 6, 12)}⟧</li></ul></article><aside><p>{prose(r, 20, 50)}</p></aside><footer><p>&copy; {few(r, 4)}</p></footer></body></html>"
+    return f"<html><body><header><h1>{few(r, r.randint(1, 6))}</h1><p>{prose(r, 8, 30)}</p>{links(r, 4)}</header><article><h1>⟦{few(r, 5)}⟧</h1>{paragraphs(r, 5)}<div class='ad-slot'>{few(r, 3)}</div><h2>⟦{few(r, 2)}⟧</h2>{paragraphs(r, 3)}<ul><li>⟦{few(r, 3)}⟧</li><li>⟦{prose(r, 6, 12)}⟧</li></ul></article><aside><p>{prose(r, 20, 50)}</p></aside><footer><p>&copy; {few(r, 4)}</p></footer></body></html>"
 
 
 def blog(r):
@@ -60,7 +60,7 @@ def manual(r):
 
 
 def lists(r):
-    return f"<body><div id=menu>{links(r, 5)}</div><div id=content><h1>⟦{few(r, 3)}⟧</h1><ol>{''.join(f'<li>⟦{r.choice([few(r, 3), prose(r, 8, 30)])}⟧</li>' for _ in range(6))}</ol>{paragraphs(r, 2)}</div><div id=footer><p>{prose(r, 8, 30)}</p></div></body>"
+    return f"<body><header><p>{prose(r, 12, 40)}</p></header><div id=menu>{links(r, 5)}</div><div id=content><h1>⟦{few(r, 3)}⟧</h1><ol>{''.join(f'<li>⟦{r.choice([few(r, 3), prose(r, 8, 30)])}⟧</li>' for _ in range(6))}</ol>{paragraphs(r, 2)}</div><div id=footer><p>{prose(r, 8, 30)}</p></div></body>"
 
 
 def comments_inside(r):
@@ -94,7 +94,7 @@ def app_shell(r):
 
 
 def portal(r):
-    return f"<body><div><div>{captions(r, 4)}</div><table><tr>{captions(r, 5, 'td')}</tr></table></div><div><div>{paragraphs(r, 5)}<ul><li>⟦{few(r, 2)}⟧</li><li>⟦{few(r, 3)}⟧</li><li>⟦{prose(r, 10, 20)}⟧</li></ul>{paragraphs(r, 3)}</div><div>{captions(r, 5, 'p')}</div></div><div>{captions(r, 4, 'p')}</div></body>"
+    return f"<body><header><h1>{few(r, r.randint(2, 6))}</h1></header><div><div>{captions(r, 4)}</div><table><tr>{captions(r, 5, 'td')}</tr></table></div><div><div>{paragraphs(r, 5)}<ul><li>⟦{few(r, 2)}⟧</li><li>⟦{few(r, 3)}⟧</li><li>⟦{prose(r, 10, 20)}⟧</li></ul>{paragraphs(r, 3)}</div><div>{captions(r, 5, 'p')}</div></div><div>{captions(r, 4, 'p')}</div></body>"
 
 
 def interview(r):
