@@ -27,6 +27,8 @@ from boxsum.llm.zip_archive import PackageWriter, Record, digest, records
 PACKAGE = 16 << 20
 #: Packages that a reading task takes at most, where there are more tasks than cores anyway.
 A_TASK = 8
+#: Writing tasks whose packages are told in one part of the table of packages.
+A_PART = 64
 
 
 def roles(pages: DataFrame, least: int = 0) -> DataFrame:
@@ -67,7 +69,10 @@ def write_packages(pages: DataFrame, root: str | None = None, id_col: str = "pag
             yield finish(w)
 
     written = roles(rows, least).mapInArrow(run, "path string, bytes long, records long")
-    return cut(written.withColumn("path", F.concat(F.lit(root.rstrip("/") + "/"), "path")))
+    # a task that is run again names other files, so all that it tells must go to one part, which holds one run of it
+    told = written.withColumn("task", F.spark_partition_id())
+    parts = -(-int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions")) // A_PART)
+    return cut(told.repartition(parts, "task").select(F.concat(F.lit(root.rstrip("/") + "/"), "path").alias("path"), "bytes", "records"))
 
 
 def read_packages(packages: DataFrame, with_payload: bool = False) -> DataFrame:

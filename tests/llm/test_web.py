@@ -191,6 +191,18 @@ def test_packages_are_read_in_parallel(spark):
     assert got.groupBy(F.spark_partition_id()).count().count() >= 6 and got.count() == 40
 
 
+def test_the_table_of_packages_is_in_few_parts(spark):
+    pages = spark.range(200).selectExpr("id as page_id", "cast(id as string) as url", "concat('<p>', id % 90, '</p>') as html").repartition(40)
+    held = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "70")
+    try:
+        packages = web_archive.write_packages(pages, package=1)
+        assert packages.rdd.getNumPartitions() == 2 and packages.select("path").distinct().count() == packages.count()
+        assert packages.agg({"records": "sum"}).first()[0] == 200 and web_archive.read_packages(packages).select("page_id").distinct().count() == 200
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", held)
+
+
 def test_archives_of_no_rows_repeated_rows_and_null_ids(spark):
     schema = "page_id long, url string, html string"
     assert web_archive.read_packages(web_archive.write_packages(spark.createDataFrame([], schema))).count() == 0
