@@ -24,9 +24,9 @@ def by_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def by_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose text is in the learned languages: enough of its own n-grams must be known."""
+    """Documents whose text is in the learned languages: enough of its own n-grams must be known. Counts and floors are of all texts that may be learned from."""
     learned = docs.where(~held_out())
-    model = language_id.with_floors(language_id.train(learned), learned)
+    model = language_id.with_floors(language_id.train(learned, per_language=None), learned, per_language=None)
     return language_id.keep_identified(docs.select(COLUMNS), model)
 
 

@@ -52,6 +52,14 @@ def test_stages_of_no_documents(spark):
         assert stage(spark, empty, SF).count() == 0
 
 
+def test_language_stage_learns_from_all_texts(spark):
+    rare = [i for i in range(12_000, 12_100) if zlib.crc32(str(i).encode()) % 4 != 2][:4]
+    rows = [(i, "the common words of a usual text", "en", "web", 32) for i in range(12_000)] + [(i, "zebra quartz jumping vixen", "en", "web", 26) for i in rare]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    kept = {r.doc_id for r in corpus_pipeline.by_language(spark, docs, SF).select("doc_id").collect()}
+    assert set(rare) <= kept and len(kept) == len(rows)
+
+
 def test_held_out_fourth(spark):
     got = {r.id: r.h for r in spark.range(200).select("id", held_out("id").alias("h")).collect()}
     assert got == {i: zlib.crc32(str(i).encode()) % 4 == 2 for i in range(200)}
