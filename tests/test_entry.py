@@ -4,8 +4,13 @@ import os
 import duckdb
 import pytest
 
+from pyspark.sql import functions as F
+
 import __spark_entry__
 from boxsum import workloads
+from boxsum.operators import baseline, query
+from boxsum.sources.grids import G1, G4, G4_FLOATS
+from boxsum.workloads.experiments import at_ranges
 
 SF = "/root/testdata/sf0.001"
 #: The field has 23 million cells at any scale, and each of these reads it several times; the driver compares them.
@@ -41,3 +46,23 @@ def test_against_sql(spark, name):
     assert sorted(columns) == sorted(got.columns)
     show = lambda v: "" if v is None else f"{v:.10g}" if isinstance(v, float) else str(v)
     assert sorted(map(tuple, (map(show, r) for r in got.select(columns).collect()))) == sorted(map(tuple, (map(show, r) for r in want.fetchall())))
+
+
+def test_field_is_made_by_many_tasks(spark):
+    for grid in (G4, G4_FLOATS):
+        assert grid.cells(spark, SF).rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+
+
+def test_scan_of_several_ranges_equals_a_scan_a_range(spark):
+    ranges = [(0, 400), (0, 800), (123, 2001)]
+    cells = G1.cells(spark, SF)
+    for over, keys in (("yx", ["t"]), ("t", ["y", "x"]), ("yxt", [])):
+        got = query.divided(baseline.scan_sums(cells, G1.spec, "t", ranges, over), [*keys, "lo", "hi"], F.col("extent")).collect()
+        want = [(*r[: len(keys)], lo, hi, *r[len(keys) :]) for lo, hi in ranges for r in baseline.scan_average(cells, G1.spec, {"t": (lo, hi)}, over).collect()]
+        assert want and sorted(map(tuple, got)) == sorted(want)
+
+
+def test_figures_have_a_row_for_each_range(spark):
+    found = spark.createDataFrame([(0, 3, "a", 7)], "lo int, hi int, kind string, n long")
+    got = at_ranges(found, [(0, 3), (3, 5)], kind=["a", "b"]).select("kind", "lo", "hi", "n").collect()
+    assert sorted(map(tuple, got)) == [("a", 0, 3, 7), ("a", 3, 5, 0), ("b", 0, 3, 0), ("b", 3, 5, 0)]
