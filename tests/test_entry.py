@@ -66,3 +66,12 @@ def test_figures_have_a_row_for_each_range(spark):
     found = spark.createDataFrame([(0, 3, "a", 7)], "lo int, hi int, kind string, n long")
     got = at_ranges(found, [(0, 3), (3, 5)], kind=["a", "b"]).select("kind", "lo", "hi", "n").collect()
     assert sorted(map(tuple, got)) == [("a", 0, 3, 7), ("a", 3, 5, 0), ("b", 0, 3, 0), ("b", 3, 5, 0)]
+
+
+#: Queries that once made up all of their data.
+READS = ["c8_tiles_touched"]
+
+
+@pytest.mark.parametrize("name", READS)
+def test_reads_a_given_table(spark, name):
+    assert workloads.QUERIES[name](spark, SF).inputFiles()
