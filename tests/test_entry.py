@@ -69,7 +69,7 @@ def test_figures_have_a_row_for_each_range(spark):
 
 
 #: Queries that once made up all of their data.
-READS = ["c8_tiles_touched"]
+READS = ["c8_tiles_touched", "m02_subsets"]
 
 
 @pytest.mark.parametrize("name", READS)
