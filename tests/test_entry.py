@@ -69,7 +69,7 @@ def test_figures_have_a_row_for_each_range(spark):
 
 
 #: Queries that once made up all of their data.
-READS = ["c8_tiles_touched", "m02_subsets"]
+READS = ["c8_tiles_touched", "m02_subsets", "m10_patched_tile_roles"]
 
 
 @pytest.mark.parametrize("name", READS)
