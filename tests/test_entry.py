@@ -69,7 +69,7 @@ def test_figures_have_a_row_for_each_range(spark):
 
 
 #: Queries that once made up all of their data.
-READS = ["c8_tiles_touched", "m02_subsets", "m10_patched_tile_roles", "m11_plan", "m21_catalog_rows", "m22_lookup", "m23_tile_to_anchor", "o02_range_axis", "u03_pieces_udtf", "w10_stride4_reads"]
+READS = ["c8_tiles_touched", "m02_subsets", "m10_patched_tile_roles", "m11_plan", "m21_catalog_rows", "m22_lookup", "m23_tile_to_anchor", "o02_range_axis", "u03_pieces_udtf", "w10_stride4_reads", "w15_lookup"]
 
 
 @pytest.mark.parametrize("name", READS)
