@@ -308,6 +308,21 @@ def test_accuracy_measure(spark):
     assert measure.speedup(100.0, 0.1) == pytest.approx((1000, 3)) and measure.price(3600, 4.032) == pytest.approx(4.032)
 
 
+def test_touched_counts_tiles_and_anchor_rows(spark, cube):
+    cells, rows = cube
+    store = AnchorStore.build(cells, CUBE, all_subsets("ab"))
+    found = lambda box: measure.touched(store, plan_box(CUBE, store.specs, box, "ab")).first().asDict()
+    # a: anchor 2 (below 4), gaps [4, 5) and [0, 1); b: anchor 2 (below 6), gaps [6, 7) and [0, 2); 11 slices of 6 tiles
+    in_a, in_b = (0, 4), (0, 1, 6)
+    tiles = {(i // 2, j // 3, k // 2) for i, j, k, *_ in rows if i in in_a and j in in_b}
+    anchors = len({(j, k) for i, j, k, *_ in rows if i < 4 and j in in_b}) + len({(i, k) for i, j, k, *_ in rows if i in in_a and j < 6}) + len({k for i, j, k, *_ in rows if i < 4 and j < 6})
+    planned = (1 * 3 + 2 * 1 + 1) * 11
+    assert found({"a": (1, 5), "b": (2, 7)}) == {"tiles": 24, "found": len(tiles), "anchor_rows": planned, "anchor_rows_found": anchors, "touched": 24 + planned, "touched_found": len(tiles) + anchors}
+    # a box that ends on anchors touches no cells
+    slices = len({k for i, j, k, *_ in rows if i < 4 and j < 6})
+    assert found({"a": (0, 4), "b": (0, 6)}) == {"tiles": 0, "found": 0, "anchor_rows": 11, "anchor_rows_found": slices, "touched": 11, "touched_found": slices}
+
+
 def test_overflow_is_told(spark):
     big = spark.createDataFrame([(0, 2**62, 1), (1, 2**62, 1)], "d int, sx long, n long")
     grid = GridSpec("o", (AxisSpec("d", 2, 2),))

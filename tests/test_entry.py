@@ -75,3 +75,9 @@ READS = ["c8_tiles_touched", "m02_subsets", "m10_patched_tile_roles", "m11_plan"
 @pytest.mark.parametrize("name", READS)
 def test_reads_a_given_table(spark, name):
     assert workloads.QUERIES[name](spark, SF).inputFiles()
+
+
+def test_tiles_touched_has_the_anchor_rows(spark):
+    (row,) = workloads.QUERIES["c8_tiles_touched"](spark, SF).collect()
+    assert (row.tiles, row.anchor_rows, row.touched) == (2 * 2 * 3, 16 * 100 + 30 * 100 + 100, 12 + 4700)
+    assert row.touched_found == row.found + row.anchor_rows_found > row.found
